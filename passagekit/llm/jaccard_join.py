@@ -2,11 +2,13 @@
 
 Jaccard distance is a metric. Equal sets are one point. Points that can link at all share a shingle among the first few
 of a common order (the length of that prefix follows from the threshold); the points with a given shingle in their prefix
-form a patch, and the patch's point with the smallest key is its pivot. All patches with one pivot make up its region, so
-every link lies inside some region: that of the pivot of a shared shingle. A region is joined recursively and exactly: distances
+form a patch, and the patch's point with the smallest key is its pivot. Patches are told apart
+by size, as sets of very different size cannot link. All patches with one pivot make up its region, so every link lies inside
+some region: that of the pivot of a shared shingle. A region is joined recursively and exactly: distances
 to a pivot are computed, what lies within the threshold is linked to it and forms one class, the triangle inequality
 leaves to be compared with that class only the boundary (distance at most twice the threshold) and, of the class, the window whose
-pivot distance differs by at most the threshold; the rest goes on with a new pivot. Regions of more than `weight` shingles are
+pivot distance differs by at most the threshold; the rest goes on with a new pivot. Before that, one-bit sketches (they differ in no more bits
+than the sets in shingles) drop what cannot link inside its region. Regions of more than `weight` shingles are
 cut into blocks, and each pair of blocks, with the pivot replicated into it, is one task's bounded job.
 
 Any common order is exact; ours puts shingles of many documents last, so that a passage shared by very many documents does not
@@ -18,6 +20,8 @@ shingle of the whole. Rows with the same id and text count once as a set and eac
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -64,6 +68,41 @@ def digest(shingles) -> int:
     return h - (1 << 64) if h >> 63 else h
 
 
+def sketch(shingles) -> bytes:
+    """One bit for each residue that occurs, about as many bits as shingles (a power of two)."""
+    import numpy as np
+
+    size = 1 << max(6, int(len(shingles) - 1).bit_length())
+    bits = np.zeros(size, dtype=bool)
+    bits[((shingles >> np.uint64(20)) & np.uint64(size - 1)).astype(np.int64)] = True
+    return np.packbits(bits).tobytes()
+
+
+def may_link(sizes, sketches: list[bytes], percent: int):
+    """Which sets of a small region may link with another one of it.
+
+    Sketches differ in at most as many bits as the sets do in shingles, so a pair whose sketches differ in more bits than
+    linked sets of their sizes can is out.
+    """
+    import numpy as np
+
+    least = min(map(len, sketches))
+    rows = np.empty((len(sketches), least), np.uint8)
+    for k, b in enumerate(sketches):
+        x = np.frombuffer(b, np.uint8)
+        while len(x) > least:
+            x = x[: len(x) // 2] | x[len(x) // 2 :]
+        rows[k] = x
+    rows, n, ok = rows.view(np.uint64), np.asarray(sizes), np.zeros(len(sketches), bool)
+    for k in range(len(rows) - 1):
+        a, b = n[k], n[k + 1 :]
+        differ = np.bitwise_count(rows[k] ^ rows[k + 1 :]).sum(1, dtype=np.int64)
+        good = (100 * np.minimum(a, b) >= percent * np.maximum(a, b)) & (differ * (100 + percent) <= (100 - percent) * (a + b))
+        ok[k + 1 :] |= good
+        ok[k] |= good.any()
+    return ok
+
+
 def prefix_length(n: int, percent: int) -> int:
     return n - (percent * n + 99) // 100 + 1
 
@@ -73,7 +112,7 @@ def linked(common: int, a: int, b: int, percent: int) -> bool:
 
 
 def sets(docs: DataFrame, id_col: str, text_col: str, k: int = WORDS) -> DataFrame:
-    """id, n (size of its set) and d (digest of it; null for no set)."""
+    """id, n (size of its set), d (digest of it; null for no set) and its sketch."""
 
     def run(it):
         import pyarrow as pa
@@ -81,9 +120,9 @@ def sets(docs: DataFrame, id_col: str, text_col: str, k: int = WORDS) -> DataFra
         cache = _Hashes()
         for batch in it:
             own = [shingle_set(t, cache, k) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in own], pa.int64()), pa.array([digest(s) if len(s) else None for s in own], pa.int64())], names=["id", "n", "d"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in own], pa.int64()), pa.array([digest(s) if len(s) else None for s in own], pa.int64()), pa.array([sketch(s) if len(s) else None for s in own], pa.binary())], names=["id", "n", "d", "bits"])
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col)).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, n long, d long")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col)).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, n long, d long, bits binary")
 
 
 def _per_set(docs: DataFrame, text_col: str, k: int, schema: str, start, each, end=None) -> DataFrame:
@@ -167,27 +206,34 @@ def prefixes(docs: DataFrame, text_col: str, k: int, percent: int, common) -> Da
     return _per_set(docs, text_col, k, "s long, n long, d long", start, each)
 
 
-def regions(rows: DataFrame, parts: int) -> DataFrame:
-    """pivot, d, n: members of each region, pivots included. One pass over sorted patches, whatever their size."""
+def regions(rows: DataFrame, parts: int, percent: int) -> DataFrame:
+    """pivot, d, n: members of each region, pivots included. One pass over sorted patches, whatever their size.
+
+    A patch is told apart by size: sets whose sizes allow a link are in the same band or in neighbouring ones, so a pair of
+    neighbouring bands of a patch has a pivot of its own, the first set of the lower band.
+    """
+    width = math.log(100 / percent) * (1 + 1e-6)
 
     def run(it):
         import numpy as np
         import pyarrow as pa
 
-        last_s = pivot = None
-        pivot_n, told = 0, set()
+        # the two groups (patch, band, lead and its size) that the last batch ended with
+        held, told = np.zeros((2, 4), np.int64) - 1, set()
         for batch in it:
-            s, d, n = (batch.column(i).to_numpy() for i in range(3))
+            s, band, d, n = (batch.column(i).to_numpy() for i in range(4))
             if not len(s):
                 continue
-            new = np.concatenate([[s[0] != last_s], s[1:] != s[:-1]])
-            first = np.maximum.accumulate(np.where(new, np.arange(len(s)), -1))
-            lead_d = np.where(first >= 0, d[np.maximum(first, 0)], pivot if pivot is not None else 0)
-            lead_n = np.where(first >= 0, n[np.maximum(first, 0)], pivot_n)
-            last_s, pivot, pivot_n = s[-1], lead_d[-1], lead_n[-1]
-            far = d != lead_d
-            if far.any():
-                found = np.unique(np.stack([lead_d[far], d[far], n[far], lead_n[far]], 1), axis=0)
+            new = np.concatenate([[s[0] != held[1, 0] or band[0] != held[1, 1]], (s[1:] != s[:-1]) | (band[1:] != band[:-1])])
+            at = np.flatnonzero(new)
+            groups = np.concatenate([held, np.stack([s[at], band[at], d[at], n[at]], 1)])
+            own = np.cumsum(new) + 1
+            held = groups[-2:]
+            lead, below = groups[own], groups[own - 1]
+            near = (below[:, 0] == s) & (below[:, 1] == band - 1)
+            pairs = np.concatenate([np.stack([lead[:, 2], d, n, lead[:, 3]], 1)[lead[:, 2] != d], np.stack([below[:, 2], d, n, below[:, 3]], 1)[near & (below[:, 2] != d)]])
+            if len(pairs):
+                found = np.unique(pairs, axis=0)
                 fresh = [r for r in map(tuple, found.tolist()) if r not in told]
                 if len(told) > 500_000:
                     told.clear()
@@ -196,10 +242,47 @@ def regions(rows: DataFrame, parts: int) -> DataFrame:
                     a, b, c, e = zip(*fresh, strict=True)
                     yield pa.RecordBatch.from_arrays([pa.array(a + a), pa.array(b + a), pa.array(c + e)], names=["pivot", "d", "n"])
 
-    dealt = rows.select("s", "d", "n").repartition(parts, "s").sortWithinPartitions("s", "d")
+    dealt = rows.select("s", F.floor(F.ln("n") / F.lit(width)).cast("long").alias("band"), "d", "n").repartition(parts, "s").sortWithinPartitions("s", "band", "d")
     return dealt.mapInArrow(run, "pivot long, d long, n long").distinct()
 
 
+def thinned(member: DataFrame, own: DataFrame, parts: int, percent: int, small: int = 400) -> DataFrame:
+    """member without the sets that cannot link with any other of their region; regions over `small` stay as they are."""
+
+    def run(it):
+        import pyarrow as pa
+
+        key, rows, wide = None, [], False
+
+        def out(some):
+            p, d, n = ([r[i] for r in some] for i in range(3))
+            return pa.RecordBatch.from_arrays([pa.array(p, pa.int64()), pa.array(d, pa.int64()), pa.array(n, pa.int64())], names=["pivot", "d", "n"])
+
+        def flush():
+            if not rows:
+                return []
+            ok = [True] * len(rows) if wide else may_link([r[2] for r in rows], [r[3] for r in rows], percent)
+            return [r for r, k in zip(rows, ok, strict=True) if k]
+
+        for batch in it:
+            kept = []
+            for r in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
+                if r[0] != key:
+                    kept += flush()
+                    key, rows, wide = r[0], [], False
+                rows.append(r)
+                if len(rows) > small:
+                    kept, rows, wide = kept + rows, [], True
+            if kept:
+                yield out(kept)
+        if kept := flush():
+            yield out(kept)
+
+    bits = own.where("d is not null").select("d", "bits").dropDuplicates(["d"])
+    dealt = member.join(bits, "d").repartition(parts, "pivot").sortWithinPartitions("pivot", "d")
+    return dealt.select("pivot", "d", "n", "bits").mapInArrow(run, "pivot long, d long, n long")
+
+
 class Classes:
     """Union-find over positions."""
 
@@ -272,21 +355,21 @@ def join_region(points: list, percent: int) -> list[tuple[int, int]]:
     return edges
 
 
-def links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = WORDS, percent: int = PERCENT, weight: int = WEIGHT, most_common: int = MOST_COMMON) -> DataFrame:
-    """a, b (digests): links that connect exactly the classes of linked sets."""
+def links(docs: DataFrame, own: DataFrame, text_col: str = "text", k: int = WORDS, percent: int = PERCENT, weight: int = WEIGHT, most_common: int = MOST_COMMON) -> DataFrame:
+    """a, b (digests): links that connect exactly the classes of linked sets. own: sets(docs)."""
     spark = docs.sparkSession
     rows = materialise(prefixes(docs, text_col, k, percent, common_shingles(docs, text_col, k, most_common)))
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows.count() // 2_000_000))
-    member = materialise(regions(rows, parts))
+    member = materialise(thinned(regions(rows, parts, percent), own, parts, percent))
     sizes = member.groupBy("pivot").agg(F.sum("n").alias("w")).withColumn("blocks", F.ceil(F.col("w") / F.lit(weight)).cast("int"))
     # sets in some region, as one bit of a sketch each: two megabytes whatever their number
     bit = F.shiftrightunsigned(F.xxhash64("d"), 40)
     words = member.select(bit.alias("bit")).groupBy(F.expr("bit div 64").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(bit % 64 as int)))").alias("b")).toArrow()
     import numpy as np
 
-    sketch = np.zeros(1 << 18, dtype=np.int64)
-    sketch[words["w"].to_numpy()] = words["b"].to_numpy()
-    arrays = _arrays(docs, text_col, k, sketch)
+    present = np.zeros(1 << 18, dtype=np.int64)
+    present[words["w"].to_numpy()] = words["b"].to_numpy()
+    arrays = _arrays(docs, text_col, k, present)
     dealt = member.join(sizes, "pivot").withColumn("own", F.pmod(F.xxhash64("d"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     # the pivot goes to every pair of blocks, any other set to the pairs that hold its block
     pairs = F.when(F.col("d") == F.col("pivot"), F.transform(F.sequence(F.lit(0), F.col("other")), lambda i: F.struct(i.alias("i"), F.col("other").alias("j")))).otherwise(F.array(F.struct(F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))))
@@ -295,9 +378,9 @@ def links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: in
     return full.select("pivot", "i", "j", "d", "x").mapInArrow(_joiner(percent), "a long, b long")
 
 
-def _arrays(docs: DataFrame, text_col: str, k: int, sketch) -> DataFrame:
-    """d, x: the sets (hashes as bytes) of all digests that the sketch may hold, once each."""
-    sent = docs.sparkSession.sparkContext.broadcast(sketch)
+def _arrays(docs: DataFrame, text_col: str, k: int, present) -> DataFrame:
+    """d, x: the sets (hashes as bytes) of all digests that may be present, once each."""
+    sent = docs.sparkSession.sparkContext.broadcast(present)
 
     def each(state, s, d):
         at = xx_bit(d)
@@ -368,7 +451,7 @@ def join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int
     """id, n_shingles and component_id (smallest id reachable by links) of every row."""
     own = materialise(sets(docs, id_col, text_col, k))
     first = own.where("d is not null").groupBy("d").agg(F.min("id").alias("first"))
-    label = components(materialise(links(docs, id_col, text_col, k, percent, **sizes)))
+    label = components(materialise(links(docs, own, text_col, k, percent, **sizes)))
     named = first.join(label.withColumnRenamed("node", "d"), "d", "left").withColumn("comp", F.coalesce("comp", "d"))
     least = named.groupBy("comp").agg(F.min("first").alias("least"))
     ids = named.join(least, "comp").select("d", "least")
