@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
+from . import retrieval
+
+ALL = dict(retrieval.TABLE)
+
 
 def queries() -> dict:
-    return {}
+    return {k: f for k, (f, _) in ALL.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: sql for k, (_, sql) in ALL.items() if sql}
+
+
+def entry(spark, sf_dir: str):
+    return retrieval.table(spark, sf_dir)
