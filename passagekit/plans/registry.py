@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import retrieval
+from . import retrieval, supply
 
-ALL = dict(retrieval.TABLE)
+ALL = retrieval.TABLE | supply.TABLE
 
 
 def queries() -> dict:
