@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import retrieval, supply
+from . import retrieval, signals, supply
 
-ALL = retrieval.TABLE | supply.TABLE
+ALL = retrieval.TABLE | supply.TABLE | signals.TABLE
 
 
 def queries() -> dict:

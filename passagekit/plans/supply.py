@@ -8,6 +8,7 @@ from pyspark.sql import Window as W
 from ..operators import supply as S
 from ..operators import tonal as T
 from ..sources.carriers import table
+from .retrieval import POOLED
 
 
 def _pings(s, d):
@@ -70,7 +71,7 @@ def dedup_rules(s, d):
 def _frames(s, d):
     li = table(s, d, "lineitem")
     order = W.partitionBy("l_suppkey").orderBy("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
-    at = li.where("l_suppkey <= 8").select(F.col("l_suppkey").alias("rec"), (F.row_number().over(order) - 1).alias("k"), F.col("l_extendedprice").alias("v"))
+    at = li.select(F.col("l_suppkey").alias("rec"), (F.row_number().over(order) - 1).alias("k"), F.col("l_extendedprice").alias("v"))
     f = at.groupBy("rec", F.expr("k div 32").cast("long").alias("frame")).agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "v"))), lambda x: x["v"]).alias("x"))
     return f.where("size(x) = 32")
 
@@ -79,7 +80,7 @@ def tonal_dft(s, d):
     return T.spectrum(_frames(s, d), 32, 16).groupBy("rec", "bin").agg(F.round(F.avg(F.ln("power")), 6).alias("level"))
 
 
-FRAMES = "fr as (select l_suppkey rec, (row_number() over (partition by l_suppkey order by l_shipdate, l_orderkey, l_linenumber, l_partkey, l_quantity, l_extendedprice, l_discount, l_tax) - 1) k, l_extendedprice v from lineitem where l_suppkey <= 8), fx as (select rec, k // 32 frame, list(v order by k) x from fr group by all having count(*) = 32), sp as (select rec, frame, bin, power(list_sum([x[i + 1] * cos(2 * pi() * bin * i / 32) for i in range(32)]), 2) + power(list_sum([x[i + 1] * sin(2 * pi() * bin * i / 32) for i in range(32)]), 2) as power from fx, (select unnest(range(1, 17)) bin))"
+FRAMES = "fr as (select l_suppkey rec, (row_number() over (partition by l_suppkey order by l_shipdate, l_orderkey, l_linenumber, l_partkey, l_quantity, l_extendedprice, l_discount, l_tax) - 1) k, l_extendedprice v from lineitem), fx as (select rec, k // 32 frame, list(v order by k) x from fr group by all having count(*) = 32), sp as (select rec, frame, bin, power(list_sum([x[i + 1] * cos(2 * pi() * bin * i / 32) for i in range(32)]), 2) + power(list_sum([x[i + 1] * sin(2 * pi() * bin * i / 32) for i in range(32)]), 2) as power from fx, (select unnest(range(1, 17)) bin))"
 _SIDES = "(coalesce(sum({c}) over (o rows between 5 preceding and 2 preceding), 0) + coalesce(sum({c}) over (o rows between 2 following and 5 following), 0)) / (count({c}) over (o rows between 5 preceding and 2 preceding) + count({c}) over (o rows between 2 following and 5 following))"
 WHITE = f"{FRAMES}, w1 as (select *, {_SIDES.format(c='power')} m from sp window o as (partition by rec, frame order by bin)), w2 as (select rec, frame, bin, power, case when power > 2 * m then m else power end c from w1), wh as (select rec, frame, bin, power / nullif({_SIDES.format(c='c')}, 0) ratio from w2 window o as (partition by rec, frame order by bin)), ln as (select rec, frame, bin, ratio from (select *, coalesce(lag(ratio) over o, 0) a, coalesce(lead(ratio) over o, 0) b from wh window o as (partition by rec, frame order by bin)) where ratio >= 1.5 and ratio > a and ratio >= b), pl as (select rec, bin, count(*) / any_value(n) persistence from ln join (select rec, count(distinct frame) n from fx group by rec) using (rec) group by rec, bin having count(*) / any_value(n) >= 0.1)"
 
@@ -119,7 +120,7 @@ def margin(s, d):
     return by.groupBy("m").agg(F.round(F.avg("loss"), 6).alias("loss"))
 
 
-MARGIN = "b as (select vec_id, label, list_transform(embedding::double[], lambda x: x / sqrt(list_dot_product(embedding::double[], embedding::double[]))) v from embeddings where vec_id < 500), mu as (select label cls, list_transform(range(1, 65), lambda i: list_avg(list_transform(vs, lambda u: u[i]))) w from (select label, list(v order by vec_id) vs from b group by label)), pr as (select cls, list_transform(w, lambda x: x / sqrt(list_dot_product(w, w))) w from mu), z as (select m, vec_id, label = cls own, 30 * case when label = cls then cos(acos(greatest(-1, least(1, list_dot_product(v, w)))) + m) else list_dot_product(v, w) end z from b, pr, (select unnest([0::double, 0.3, 0.5]) m)) select m, round(avg(loss), 6) loss from (select m, vec_id, ln(sum(exp(z))) - max(z) filter (where own) loss from z group by all) group by m"
+MARGIN = POOLED + ", b as (select passage_id vec_id, hull_id label, vec v from pa), mu as (select label cls, list_transform(range(1, 65), lambda i: list_avg(list_transform(vs, lambda u: u[i]))) w from (select label, list(v order by vec_id) vs from b group by label)), pr as (select cls, list_transform(w, lambda x: x / sqrt(list_dot_product(w, w))) w from mu), z as (select m, vec_id, label = cls own, 30 * case when label = cls then cos(acos(greatest(-1, least(1, list_dot_product(v, w)))) + m) else list_dot_product(v, w) end z from b, pr, (select unnest([0::double, 0.3, 0.5]) m)) select m, round(avg(loss), 6) loss from (select m, vec_id, ln(sum(exp(z))) - max(z) filter (where own) loss from z group by all) group by m"
 
 
 def sessions(s, d):

@@ -48,6 +48,35 @@ def planted_duplicates(emb: DataFrame, every: int = 6, eps: float = 0.1) -> Data
     return own.withColumn("dup_of", F.lit(None).cast("long")).unionByName(again)
 
 
-def label_passages(emb: DataFrame) -> DataFrame:
-    """hull = label, source = id modulo 4: labels say nothing about the vectors, so this is the chance slice."""
-    return emb.where("vec_id < 500").select(F.col("vec_id").cast("long").alias("passage_id"), F.col("label").cast("long").alias("hull_id"), (F.col("vec_id") % 4).cast("string").alias("source"), unit(F.col("embedding").cast("array<double>")).alias("vec"))
+def label_passages(emb: DataFrame, buckets: int = 50) -> DataFrame:
+    """hull = label; every vector of the table is pooled into one of `buckets` passages of its label, source = bucket modulo 4.
+
+    Labels say nothing about the vectors, so this is the chance slice; its size is bounded at any scale.
+    """
+    at = emb.select(F.col("label").cast("long").alias("hull_id"), (F.col("vec_id") % buckets).cast("long").alias("b"), F.posexplode("embedding"))
+    mean = at.groupBy("hull_id", "b", "pos").agg(F.round(F.avg(F.col("col").cast("double")), 12).alias("m"))
+    rows = mean.groupBy("hull_id", "b").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda s: s["m"]).alias("v"))
+    return rows.select((F.col("hull_id") * 1000 + F.col("b")).alias("passage_id"), "hull_id", (F.col("b") % 4).cast("string").alias("source"), unit(F.col("v")).alias("vec"))
+
+
+def supplier_years(li: DataFrame, copies: bool = True) -> DataFrame:
+    """rid, hull, x: a supplier's prices of one year in time order; copies re-file some recordings with another gain and level."""
+    order = ("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
+    rid = F.col("l_suppkey") * 10000 + F.year("l_shipdate")
+    by = li.groupBy(rid.cast("long").alias("rid"), F.col("l_suppkey").cast("long").alias("hull"))
+    rec = by.agg(F.transform(F.array_sort(F.collect_list(F.struct(*order))), lambda s: s["l_extendedprice"]).alias("x"))
+    if not copies:
+        return rec
+    again = rec.where("hull % 5 = 0 and rid % 3 = 0").select((-F.col("rid")).alias("rid"), "hull", F.transform("x", lambda v: F.lit(0.99) * v + 100.0).alias("x"))
+    return rec.unionByName(again)
+
+
+def document_segments(docs: DataFrame, width: int = 256) -> DataFrame:
+    """recording_id, hull_id, start, x: codepoints of whole texts in windows, the last one ending at the end of the text."""
+    from ..operators.supply import segment
+
+    text = F.coalesce("text", F.lit(""))
+    rec = docs.select(F.col("doc_id").alias("recording_id"), F.concat_ws("|", "lang", "source").alias("hull_id"), F.col("text"), F.length(text).cast("long").alias("n_samples"))
+    at = segment(rec, width, max(1, width // 5)).drop("n_samples")
+    piece = F.substring("text", F.col("start").cast("int") + 1, F.lit(width))
+    return at.join(rec, "recording_id").select("recording_id", "hull_id", "start", F.transform(F.split(piece, ""), lambda c: F.ascii(c).cast("double")).alias("x")).where(F.size("x") == width)
