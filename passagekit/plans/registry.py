@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import retrieval, signals, supply
+from . import relational, retrieval, signals, supply
 
-ALL = retrieval.TABLE | supply.TABLE | signals.TABLE
+ALL = retrieval.TABLE | supply.TABLE | signals.TABLE | relational.TABLE
 
 
 def queries() -> dict:

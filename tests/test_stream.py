@@ -3,6 +3,9 @@
 from pyspark.sql import functions as F
 
 from passagekit.operators.supply import sessions
+from passagekit.operators import protocol as P
+from passagekit.sources.carriers import planted
+from passagekit.streaming import passages as T
 from passagekit.streaming.passages import stream_passages
 
 
@@ -16,3 +19,40 @@ def test_sessions(spark, tmp_path):
     q.awaitTermination()
     got = {(r["user_id"], r["n"], r["first"]) for r in spark.table("sessions_out").collect()}
     assert got == batch
+
+
+def _replay(spark, df, tmp_path, name):
+    folder = str(tmp_path / name)
+    df.write.parquet(folder)
+    return spark.readStream.schema(df.schema).parquet(folder)
+
+
+def _drain(df, name, mode):
+    df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start().awaitTermination()
+    return df.sparkSession.table(name)
+
+
+def test_identification_equals_the_shortlist(spark, tmp_path):
+    p = planted(spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet"))
+    q, g = p.where("passage_no = 0"), p.where("passage_no > 0")
+    stream = _replay(spark, q.select(F.col("passage_id").alias("query_id"), "source", "vec"), tmp_path, "q")
+    got = {r["query_id"]: (r["gallery_id"], r["verdict"]) for r in _drain(T.stream_identify(stream, g, 0.3), "ident", "complete").collect()}
+    pairs = P.leave_one_out(p).join(q.select(F.col("passage_id").alias("query_id")), "query_id", "left_semi").join(g.select(F.col("passage_id").alias("gallery_id")), "gallery_id", "left_semi")
+    want = {r["query_id"]: (r["gallery_id"], r["verdict"]) for r in P.decide(pairs, 0.3).collect()}
+    assert want and all(got[k] == v for k, v in want.items()) and len(got) == q.count()
+
+
+def test_state_holds_the_mean_of_a_hull(spark, tmp_path):
+    df = spark.createDataFrame([(1, [1.0, 0.0]), (1, [0.0, 3.0]), (2, [2.0, 2.0])], "hull_id long, vec array<double>").withColumn("ts", F.lit("2020-01-01 00:00:00").cast("timestamp"))
+    got = {r["hull_id"]: (r["n"], list(r["mean"]), r["state"]) for r in _drain(T.stream_hull_state(_replay(spark, df.coalesce(1), tmp_path, "h")), "hulls", "update").collect()}
+    assert got == {1: (2, [0.5, 1.5], "seen"), 2: (1, [2.0, 2.0], "seen")}
+
+
+def test_refiled_captures_pass_once_and_pings_meet_their_windows(spark, tmp_path):
+    at = "timestamp '2020-01-01 00:00:00' + make_dt_interval(0, 0, m)"
+    df = spark.createDataFrame([(0, "a"), (1, "b"), (2, "a")], "m int, payload string").selectExpr(f"{at} ts", "payload")
+    assert _drain(T.stream_exact_dedup(_replay(spark, df, tmp_path, "d")), "once", "append").count() == 2
+    w = spark.createDataFrame([(1, 10), (2, 60)], "recording_id long, m int").selectExpr("recording_id", f"{at} ts")
+    p = spark.createDataFrame([(7, 1.0, 15), (8, 1.0, 16), (9, 1.0, 55)], "vessel_id long, range double, m int").selectExpr("vessel_id", "range", f"{at} ts")
+    got = _drain(T.stream_key(_replay(spark, w, tmp_path, "w"), _replay(spark, p, tmp_path, "p")), "keyed", "append")
+    assert {(r["recording_id"], r["vessel_id"]) for r in got.collect()} == {(1, 7), (2, 9)}
