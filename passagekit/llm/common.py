@@ -58,6 +58,32 @@ def let(value: Column, body) -> Column:
     return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
+def slices(stream, rows: int = 512):
+    """Arrow batches in slices of at most `rows`, so that the Python objects made of one stay few; what earlier tasks freed goes back to the system first."""
+    release()
+    try:
+        for batch in stream:
+            for at in range(0, batch.num_rows, rows):
+                yield batch.slice(at, rows)
+    finally:
+        release()
+
+
+def release() -> None:
+    """Freed memory back to the system. A worker process serves many stages, and what it keeps is lost to the next one."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # only glibc has it
+        pass
+
+
 def batches(rows: list[tuple], schema):
     """Rows as one Arrow batch."""
     import pyarrow as pa

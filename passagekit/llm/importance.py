@@ -19,7 +19,7 @@ import re
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, slices
 
 BUCKETS = 1 << 15
 _PARTS = re.compile(r"\w+|[^\w\s]+")
@@ -45,7 +45,7 @@ class Hashes(dict):
     def __missing__(self, word):
         import xxhash
 
-        if len(self) > 500_000:
+        if len(self) > 100_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -65,7 +65,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         import pyarrow as pa
 
         raw, own, cache = np.zeros(buckets, np.int64), np.zeros(buckets, np.int64), Hashes()
-        for batch in it:
+        for batch in slices(it):
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 f = features(text, cache, buckets)
                 if len(f) < buckets >> 3:
@@ -105,7 +105,7 @@ def weigh(docs: DataFrame, ratio, text_col: str = "text", out: str = "log_weight
         import pyarrow as pa
 
         cache, r = Hashes(), sent.value
-        for batch in it:
+        for batch in slices(it):
             w = [float(r[features(t, cache, len(r))].sum()) for t in batch.column(at).to_pylist()]
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(w, pa.float64())], names=[*names, out])
 

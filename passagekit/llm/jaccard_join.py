@@ -25,7 +25,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import lower_words, materialise
+from .common import lower_words, materialise, slices
 
 WORDS, PERCENT, WEIGHT, MOST_COMMON = 4, 85, 2_000_000, 1 << 21
 
@@ -34,7 +34,7 @@ class _Hashes(dict):
     def __missing__(self, word):
         import xxhash
 
-        if len(self) > 1_000_000:
+        if len(self) > 200_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -118,7 +118,7 @@ def sets(docs: DataFrame, id_col: str, text_col: str, k: int = WORDS) -> DataFra
         import pyarrow as pa
 
         cache = _Hashes()
-        for batch in it:
+        for batch in slices(it):
             own = [shingle_set(t, cache, k) for t in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in own], pa.int64()), pa.array([digest(s) if len(s) else None for s in own], pa.int64()), pa.array([sketch(s) if len(s) else None for s in own], pa.binary())], names=["id", "n", "d", "bits"])
 
@@ -134,7 +134,7 @@ def _per_set(docs: DataFrame, text_col: str, k: int, schema: str, start, each, e
         import pyarrow as pa
 
         cache, seen, state = _Hashes(), set(), start()
-        for batch in it:
+        for batch in slices(it):
             out = []
             for t in batch.column(0).to_pylist():
                 s = shingle_set(t, cache, k)
@@ -416,7 +416,7 @@ def _joiner(percent: int):
             pairs = join_region([np.frombuffer(x, dtype=np.uint64) for x in xs], percent)
             return pa.RecordBatch.from_arrays([pa.array([ids[a] for a, _ in pairs], pa.int64()), pa.array([ids[b] for _, b in pairs], pa.int64())], names=["a", "b"]) if pairs else None
 
-        for batch in it:
+        for batch in slices(it):
             for p, i, j, d, x in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
                 if (p, i, j) != key:
                     if (got := done()) is not None:

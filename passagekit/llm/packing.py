@@ -17,6 +17,8 @@ import zlib
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import slices
+
 SIZE, OPEN, END = 2048, 1024, 0
 
 
@@ -92,7 +94,7 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
         enc = encoder(tokenizer)
         # sequence numbers of a task are apart from those of all others
         store = Bins(size, bins, TaskContext.get().partitionId() << 40)
-        for batch in it:
+        for batch in slices(it):
             who, cols, ids_col = [], [[] for _ in range(6)], []
             for i, text in enumerate(batch.column(1).to_pylist()):
                 ids = np.array([*enc.encode(text, allowed_special="all"), END] if text else [END], dtype="<u4")
