@@ -214,6 +214,14 @@ def test_pitman_yor_sums_to_one_and_scores_base(spark, texts):
     assert np.allclose((10.0**m.rows).sum(1), 1, atol=1e-4)
 
 
+def test_pitman_yor_many_grams_give_the_same_model(spark, texts):
+    docs = frame(spark, [*texts, (100, "".join(map(chr, range(33, 900))), "a")])
+    for most in (100, 150_000):
+        a, b = (lm_scoring.fit(docs, most_grams=n, most_contexts=most) for n in (4_000_000, 1))
+        assert np.array_equal(a.code, b.code) and np.array_equal(a.extra, b.extra) and np.array_equal(a.rows, b.rows)
+        assert all(np.array_equal(x[2], y[2]) for x, y in zip(a.contexts, b.contexts, strict=True))
+
+
 def test_importance(spark):
     rows = [(i, "good plain text about things " * 5 if i % 5 else "!!! $$$ ### " * 20, "a") for i in range(100)] + [(500, None, "a"), (501, "", "a")]
     docs = frame(spark, rows)
