@@ -196,32 +196,6 @@ def test_language_model_sums_to_one(spark):
     assert m.predict(None) == ("und", 0.0) and m.predict("123")[0] == "und"
 
 
-def test_pitman_yor_sums_to_one_and_scores_base(spark, texts):
-    held = lm_scoring.F.col("doc_id") % 10 == 0
-    got = {r["doc_id"]: r for r in lm_scoring.score(frame(spark, texts), held).collect()}
-    c = Counter()
-    for i, t, _ in texts:
-        if i % 10:
-            c.update([*(t or "").lower().split(), "\n"])
-    n, v = sum(c.values()), len(c)
-    for i, t, _ in texts:
-        w = [*(t or "").lower().split(), "\n"]
-        assert got[i]["base_score"] == pytest.approx(sum(math.log10((c[x] + 0.1) / (n + 0.1 * (v + 1))) for x in w))
-        assert (got[i]["n_tokens"], got[i]["n_known"], got[i]["train_tokens"]) == (len(w), sum(c[x] > 0 for x in w), n)
-        assert -1e6 < got[i]["score"] < 0
-    g = np.unique(np.random.default_rng(1).integers(97, 101, (500, 5)) @ (256 ** np.arange(4, -1, -1)), return_counts=True)
-    m = lm_scoring.Model(*g)
-    assert np.allclose((10.0**m.rows).sum(1), 1, atol=1e-4)
-
-
-def test_pitman_yor_many_grams_give_the_same_model(spark, texts):
-    docs = frame(spark, [*texts, (100, "".join(map(chr, range(33, 900))), "a")])
-    for most in (100, 150_000):
-        a, b = (lm_scoring.fit(docs, most_grams=n, most_contexts=most) for n in (4_000_000, 1))
-        assert np.array_equal(a.code, b.code) and np.array_equal(a.extra, b.extra) and np.array_equal(a.rows, b.rows)
-        assert all(np.array_equal(x[2], y[2]) for x, y in zip(a.contexts, b.contexts, strict=True))
-
-
 def test_importance(spark):
     rows = [(i, "good plain text about things " * 5 if i % 5 else "!!! $$$ ### " * 20, "a") for i in range(100)] + [(500, None, "a"), (501, "", "a")]
     docs = frame(spark, rows)
