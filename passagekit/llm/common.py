@@ -37,14 +37,14 @@ def shared_dir(spark: SparkSession) -> str:
 _CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 
-def materialise(df: DataFrame) -> DataFrame:
-    """df written as Parquet to the shared folder and read again: a cut in the lineage that survives lost executors."""
+def materialise(df: DataFrame, by: str | None = None) -> DataFrame:
+    """df written as Parquet to the shared folder (a folder for each value of by) and read again: a cut in the lineage that survives lost executors."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tables/{uuid.uuid4().hex}"
     was = spark.conf.get(_CLEAN, None)
     spark.conf.set(_CLEAN, "true")
     try:
-        df.write.parquet(path)
+        df.write.parquet(path, partitionBy=by)
     finally:
         spark.conf.unset(_CLEAN) if was is None else spark.conf.set(_CLEAN, was)
     out = spark.read.schema(df.schema).parquet(path)
@@ -52,11 +52,11 @@ def materialise(df: DataFrame) -> DataFrame:
     return out
 
 
-def discard(*tables: DataFrame) -> None:
-    """Removes tables that materialise() wrote and that no later plan reads."""
+def discard(*tables: DataFrame, folder: str = "") -> None:
+    """Removes tables that materialise() wrote (or one folder of each) and that no later plan reads."""
     for t in tables:
         spark = t.sparkSession
-        path = spark._jvm.org.apache.hadoop.fs.Path(t.written_at)
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{t.written_at}/{folder}")
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
@@ -90,6 +90,24 @@ def slices(stream, rows: int = 512):
         release()
 
 
+def freeing(f):
+    """f, a function of Arrow tables, that gives freed memory back when it is done with a group."""
+
+    def run(t):
+        try:
+            return f(t)
+        finally:
+            release()
+
+    def run_two(a, b):
+        try:
+            return f(a, b)
+        finally:
+            release()
+
+    return run if f.__code__.co_argcount == 1 else run_two
+
+
 def release() -> None:
     """Freed memory back to the system. A worker process serves many stages, and what it keeps is lost to the next one."""
     import ctypes
