@@ -97,25 +97,26 @@ def freeing(f):
         try:
             return f(t)
         finally:
-            release()
+            release(collect=False)
 
     def run_two(a, b):
         try:
             return f(a, b)
         finally:
-            release()
+            release(collect=False)
 
     return run if f.__code__.co_argcount == 1 else run_two
 
 
-def release() -> None:
+def release(collect: bool = True) -> None:
     """Freed memory back to the system. A worker process serves many stages, and what it keeps is lost to the next one."""
     import ctypes
     import gc
 
     import pyarrow as pa
 
-    gc.collect()
+    if collect:
+        gc.collect()
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
