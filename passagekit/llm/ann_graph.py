@@ -7,7 +7,8 @@ keeps a candidate only if no kept neighbour is closer to it by the factor alpha,
 are pruned in the same way. A beam search takes a block of queries through every shard's graph at once; the shards' answers
 are merged and scores computed in double precision on the original vectors.
 
-Vectors that are null, zero or hold a null or non-finite component take no part, as points or queries. With fewer
+Vectors that are null, zero or hold a null or non-finite component take no part, as points or queries. Vectors of different lengths
+have no cosine: each length has shards of its own, and a query searches those of its length. Magnitudes do not matter. With fewer
 candidates than k all are returned. Ties go to the smaller id. Rows that repeat an id are one candidate. An empty table gives
 an empty result.
 """
@@ -144,10 +145,17 @@ class Graph:
         return np.concatenate(out_i), np.concatenate(out_s)
 
 
-def _unit(rows):
+def scaled(rows):
+    """Rows as doubles, each times the power of two that brings its largest component to 1/2 .. 1: nothing is rounded, no norm overflows."""
     import numpy as np
 
     x = np.array(rows, dtype=np.float64)
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1))[1][:, None])
+
+
+def _unit(x):
+    import numpy as np
+
     return (x / np.linalg.norm(x, axis=1, keepdims=True)).astype(np.float32)
 
 
@@ -166,28 +174,27 @@ def build(points: DataFrame, k: int, shard: int = SHARD) -> DataFrame:
     one = few.groupBy("h", "v").agg(F.array_sort(F.collect_list("id")).alias("ids"))
     one = materialise(one)
     shards = max(1, -(-one.count() // shard))
-    dealt = one.withColumn("shard", F.pmod(F.xxhash64("h", F.lit(5)), F.lit(shards)).cast("int"))
+    dealt = one.withColumn("shard", F.pmod(F.xxhash64("h", F.lit(5)), F.lit(shards)).cast("int")).withColumn("size", F.size("v"))
 
     def run(pdf):
         import pandas as pd
 
         pdf = pdf.sort_values("h").reset_index(drop=True)
-        g = Graph(_unit(list(pdf["v"])))
-        return pd.DataFrame({"shard": pdf["shard"], "point": range(len(pdf)), "start": g.start, "v": pdf["v"], "ids": pdf["ids"], "edges": list(g.edges)})
+        g = Graph(_unit(scaled(list(pdf["v"]))))
+        return pd.DataFrame({"shard": pdf["shard"], "size": pdf["size"], "point": range(len(pdf)), "start": g.start, "v": pdf["v"], "ids": pdf["ids"], "edges": list(g.edges)})
 
-    schema = f"shard int, point int, start int, v array<double>, ids array<{dict(points.dtypes)['id']}>, edges array<int>"
-    return materialise(dealt.groupBy("shard").applyInPandas(run, schema))
+    schema = f"shard int, size int, point int, start int, v array<double>, ids array<{dict(points.dtypes)['id']}>, edges array<int>"
+    return materialise(dealt.groupBy("shard", "size").applyInPandas(run, schema))
 
 
 def search(index: DataFrame, queries: DataFrame, k: int = 5, beam: int = BEAM, block: int = 20_000) -> DataFrame:
     """query_id, rank, vec_id and score of the k nearest found for each query (id and v)."""
     id_type = dict(queries.dtypes)["id"]
     blocks = max(1, -(-queries.count() // block))
-    shards = index.select("shard").distinct()
+    shards = index.select(F.col("shard").alias("_shard"), F.col("size").alias("_size")).distinct().select((F.col("_shard") + 0).alias("shard"), (F.col("_size") + 0).alias("size"))
     # every block of queries meets every shard: that is the operator (a stated query set against all rows, in blocks)
     dealt = queries.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
-    names = [r["shard"] for r in shards.collect()]
-    dealt = dealt.withColumn("shard", F.explode(F.array(*(F.lit(s) for s in sorted(names))))) if names else dealt.withColumn("shard", F.lit(0))
+    dealt = dealt.withColumn("size", F.size("v")).join(shards, "size")
     held = index.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
 
     def run(pts, qs):
@@ -198,9 +205,9 @@ def search(index: DataFrame, queries: DataFrame, k: int = 5, beam: int = BEAM, b
         if len(pts) and len(qs):
             pts = pts.sort_values("point").reset_index(drop=True)
             g = Graph.__new__(Graph)
-            vecs = np.array(list(pts["v"]), dtype=np.float64)
+            vecs = scaled(list(pts["v"]))
             g.x, g.edges, g.start, g.degree = _unit(vecs), np.array(list(pts["edges"]), dtype=np.int32), int(pts["start"][0]), 0
-            raw = np.array(list(qs["v"]), dtype=np.float64)
+            raw = scaled(list(qs["v"]))
             found, _ = g.search(_unit(raw), beam)
             norms = np.sqrt((vecs * vecs).sum(1))
             for q, v, row in zip(qs["id"], raw, found, strict=True):
@@ -220,7 +227,7 @@ def search(index: DataFrame, queries: DataFrame, k: int = 5, beam: int = BEAM, b
         return pd.DataFrame(out)
 
     schema = f"query_id {id_type}, vec_id {id_type}, score double"
-    got = held.groupBy("shard", "block").cogroup(dealt.groupBy("shard", "block")).applyInPandas(run, schema).dropDuplicates(["query_id", "vec_id"])
+    got = held.groupBy("shard", "size", "block").cogroup(dealt.groupBy("shard", "size", "block")).applyInPandas(run, schema).dropDuplicates(["query_id", "vec_id"])
     return got.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 

@@ -1,8 +1,9 @@
 """Language identification by prediction by partial matching.
 
 For each language a tree of byte contexts (up to `order` bytes) is counted on the training texts. Escapes follow method
-C: in a context seen n times with q different next bytes, a byte seen c times has c/(n+q) and the escape q/(n+q), passed
-to the context shortened by its oldest byte; below the empty context all bytes are alike. The statistics are then frozen
+C: in a context seen n times with q different next bytes, a byte seen c times has c/(n+q) and the escape q/(n+q); an escape goes
+to the context shortened by its oldest byte, where the bytes that the longer one has seen are excluded from all counts; below the empty context
+the bytes that are left are alike. Coding begins at the longest context visited `least` times. The statistics are then frozen
 and folded into one table [context, next byte, language] of exact code lengths in bits, so that a text is scored by two
 array look-ups per byte. The shortest code wins (ties: the smaller name); score is the winner's posterior share.
 
@@ -44,6 +45,14 @@ def count_grams(texts, order: int = ORDER):
     return keys, np.bincount(inverse, np.concatenate(all_counts)).astype(np.int64)
 
 
+def shares(counts):
+    """Method C for rows of counts: each byte's chance, and the chance of an escape (1 where nothing is left to be seen)."""
+    import numpy as np
+
+    visits, kinds = counts.sum(1, keepdims=True), (counts > 0).sum(1, keepdims=True)
+    return counts / np.maximum(visits + kinds, 1), np.where(visits > 0, kinds / np.maximum(visits + kinds, 1), 1.0)
+
+
 class Model:
     """Code lengths of frozen context trees."""
 
@@ -53,7 +62,8 @@ class Model:
 
         self.order, self.langs = order, sorted(grams)
         byte = np.zeros(256, dtype=np.int64)  # 0: not seen in training
-        seen = np.unique(np.concatenate([np.unique(k % 256) for k, _ in grams.values()] or [np.zeros(0, np.int64)]))
+        # the zero byte stands before every text
+        seen = np.unique(np.concatenate([np.zeros(1, np.int64), *(np.unique(k % 256) for k, _ in grams.values())]))
         byte[seen] = np.arange(1, len(seen) + 1)
         self.byte, a = byte, len(seen) + 1
         self.a = a
@@ -84,25 +94,25 @@ class Model:
                 self.row[hit] = first[n] + at[hit]
         for j, lang in enumerate(self.langs):
             code, c = codes[lang]
-            prob = {}
+            below = counts_below = None
             for n in range(order + 1):
                 ctx, sym = (code // a) % a**n, code % a
                 at = np.searchsorted(rows[n], ctx)
                 ok = (at < len(rows[n])) & (rows[n][np.minimum(at, len(rows[n]) - 1)] == ctx) if len(rows[n]) else np.zeros(len(ctx), bool)
                 counts = np.zeros((len(rows[n]), a))
                 np.add.at(counts, (at[ok], sym[ok]), c[ok])
-                visits, kinds = counts.sum(1, keepdims=True), (counts > 0).sum(1, keepdims=True)
+                # rest: chances of the bytes not seen here once this context is escaped from, those seen here excluded
                 if n == 0:
-                    lower = np.full((1, a), 1 / 256)
+                    rest = np.full((1, a), 1.0) / np.maximum(256 - (counts > 0).sum(1, keepdims=True), 1)
                 else:
-                    m = n - 1
-                    up = rows[n] % a**m
-                    pos = np.minimum(np.searchsorted(rows[m], up), len(rows[m]) - 1)
                     # a kept context's suffix is visited at least as often, so it is kept
-                    lower = prob[m][pos]
-                p = np.where(counts > 0, counts / np.maximum(visits + kinds, 1), 0) + np.where(visits > 0, kinds / np.maximum(visits + kinds, 1), 1) * lower
-                prob[n] = p
-                bits[first[n] : first[n] + len(rows[n]), :, j] = -np.log2(p)
+                    pos = np.searchsorted(rows[n - 1], rows[n] % a ** (n - 1))
+                    shorter = np.where(counts > 0, 0, counts_below[pos])
+                    own, escape = shares(shorter)
+                    rest = np.where(shorter > 0, own, escape * below[pos])
+                own, escape = shares(counts)
+                bits[first[n] : first[n] + len(rows[n]), :, j] = -np.log2(np.where(counts > 0, own, escape * rest))
+                below, counts_below = rest, counts
         self.bits = bits
 
     def lengths(self, text: str):
@@ -136,8 +146,11 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     import numpy as np
 
     train = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).where("lang is not null and text is not null")
-    pick = W.partitionBy("lang").orderBy(F.xxhash64("id"), "id")
-    ids = train.select("id", "lang").withColumn("n", F.row_number().over(pick)).where(F.col("n") <= per_language).select("id", "lang").distinct()
+    # first within shares of a language, so that a very common one is not one task's work
+    few = train.select("id", "lang", F.xxhash64("id").alias("h")).withColumn("share", F.pmod("h", F.lit(64)))
+    for by in (("lang", "share"), ("lang",)):
+        few = few.withColumn("n", F.row_number().over(W.partitionBy(*by).orderBy("h", "id"))).where(F.col("n") <= per_language)
+    ids = few.select("id", "lang").distinct()
 
     def run(it):
         import pyarrow as pa

@@ -1,10 +1,11 @@
 """Licence scan: a generalised suffix automaton of licence words, fed with the words of each file.
 
-Every template (and every base phrase, itself a short template) is inserted, word by word, into one automaton.
+Every template (and every phrase, itself a short template) is inserted, word by word, into one automaton.
 A text is streamed through it once: after each word the state and the matched length are the matching
-statistics, the longest stretch that ends here and occurs in some template. A phrase ends here exactly when
-its own state is on the suffix links of the current one. Long matches are chained per template (in order, small
-gaps) into spans; a template whose words are covered enough gives its label.
+statistics, the longest stretch that ends here and occurs in some template; the suffix links say how much of it ends in
+every other template. A phrase ends here exactly when its own state is on those links. The maximal matches of each template
+are chained (in order, small gaps) into spans; a template whose words are covered enough gives its label, and so does the name
+of a licence.
 
 Nulls count as empty texts, empty texts have no words, repeated rows give repeated results, further columns of
 the input are not looked at, an empty table gives an empty result. Long texts are streamed: memory is their words.
@@ -50,6 +51,35 @@ TEMPLATES = {
     "unlicense": ["this is free and unencumbered software released into the public domain anyone is free to copy modify publish use compile sell or distribute this software"],
 }
 
+# Names and identifiers of licences, with their labels; they count beside the base phrases, not as base.
+NAMES = {
+    "mozilla public license": "mpl",
+    "gnu lesser general public license": "lgpl",
+    "gnu affero general public license": "agpl",
+    "bsd license": "bsd",
+    "bsd 2 clause": "bsd",
+    "bsd 3 clause": "bsd",
+    "isc license": "isc",
+    "eclipse public license": "epl",
+    "boost software license": "bsl",
+    "creative commons attribution": "cc-by",
+    "creative commons attribution sharealike": "cc-by-sa",
+    "creative commons attribution noncommercial": "cc-by-nc",
+    "cc by sa": "cc-by-sa",
+    "cc by nc": "cc-by-nc",
+    "cc by nd": "cc-by-nd",
+    "cc0 1 0": "cc0",
+    "the unlicense": "unlicense",
+    "spdx license identifier mit": "mit",
+    "spdx license identifier apache 2 0": "apache",
+    "spdx license identifier gpl 2 0": "gpl",
+    "spdx license identifier gpl 3 0": "gpl",
+    "spdx license identifier lgpl": "lgpl",
+    "spdx license identifier agpl": "agpl",
+    "spdx license identifier mpl 2 0": "mpl",
+    "spdx license identifier isc": "isc",
+}
+
 #: Bytes of words stay (A-Z as a-z), all others separate words.
 _TO_WORDS = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
 
@@ -59,22 +89,26 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 class Automaton:
-    """Generalised suffix automaton over words, with the templates that each state occurs in."""
+    """Generalised suffix automaton over words, with the templates that each state occurs in and where."""
 
     def __init__(self, templates: list[list[bytes]], phrases: list[list[bytes]]):
         self.next: list[dict] = [{}]
         self.link, self.length = [-1], [0]
-        ends: list[dict[int, int]] = [{}]  # template -> where in it the state's stretch first ends
+        ends: list[dict[int, set]] = [{}]  # template -> where in it the state's stretch ends
         for t, words in enumerate(templates):
             last = 0
             for pos, w in enumerate(words):
                 last = self._extend(last, w, ends)
-                ends[last].setdefault(t, pos)
-        for v in sorted(range(1, len(self.next)), key=self.length.__getitem__, reverse=True):
+                ends[last].setdefault(t, set()).add(pos)
+        by_length = sorted(range(1, len(self.next)), key=self.length.__getitem__)
+        for v in reversed(by_length):
             for t, pos in ends[v].items():
-                up = ends[self.link[v]]
-                up[t] = min(pos, up.get(t, pos))
-        self.ends = ends
+                ends[self.link[v]].setdefault(t, set()).update(pos)
+        self.ends = [{t: sorted(pos) for t, pos in e.items()} for e in ends]
+        #: template -> the state of the longest end of this state's stretch that occurs in the template
+        self.deepest: list[dict[int, int]] = [{}] * len(self.next)
+        for v in by_length:
+            self.deepest[v] = self.deepest[self.link[v]] | dict.fromkeys(ends[v], v)
         own = {}
         for k, words in enumerate(phrases):
             v = 0
@@ -83,7 +117,7 @@ class Automaton:
             own[v] = (*own.get(v, ()), (k, len(words)))
         #: phrases that end wherever the state is reached with at least their length
         self.phrases: list[tuple] = [()] * len(self.next)
-        for v in sorted(range(1, len(self.next)), key=self.length.__getitem__):
+        for v in by_length:
             self.phrases[v] = own.get(v, ()) + self.phrases[self.link[v]]
 
     def _extend(self, last: int, w: bytes, ends: list) -> int:
@@ -116,54 +150,72 @@ class Automaton:
             self.link[v] = q if self.length[q] == self.length[p] + 1 else clone(p, q)
         return v
 
-    def stream(self, words: list[bytes], least: int):
-        """(phrase hits as (first word, phrase), maximal matches of at least `least` words as (first, last, state))."""
-        nxt, link, length, phrases = self.next, self.link, self.length, self.phrases
-        hits, matches = [], []
+    def statistics(self, words: list[bytes]):
+        """(state, matched length) after each word: the longest stretch that ends there and occurs in some template."""
+        nxt, link, length = self.next, self.link, self.length
         state = n = 0
-        for i, w in enumerate(words):
+        for w in words:
             to = nxt[state].get(w)
-            if to is None:
-                if not state:
-                    continue
-                if n >= least:
-                    matches.append((i - n, i - 1, state))
-                while to is None and state:
-                    state = link[state]
-                    n = length[state]
-                    to = nxt[state].get(w)
-                if to is None:
-                    continue
-            state, n = to, n + 1
+            while to is None and state:
+                state = link[state]
+                n = length[state]
+                to = nxt[state].get(w)
+            if to is not None:
+                state, n = to, n + 1
+            yield state, n
+
+    def stream(self, words: list[bytes], least: int):
+        """(phrase hits as (first word, phrase), for each template its maximal matches of at least `least` words as (first, last, state))."""
+        length, phrases, deepest = self.length, self.phrases, self.deepest
+        hits: list[tuple[int, int]] = []
+        matches: dict[int, list[tuple[int, int, int]]] = {}
+        running: dict[int, tuple[int, int]] = {}  # template -> (first word, state) of the match that ends at the word before
+        for i, (state, n) in enumerate(self.statistics(words)):
             if phrases[state]:
                 hits.extend((i - size + 1, k) for k, size in phrases[state] if size <= n)
-        if n >= least:
-            matches.append((len(words) - n, len(words) - 1, state))
+            if n < least and not running:
+                continue
+            now = {}
+            for t, v in deepest[state].items() if n >= least else ():
+                m = n if v == state else length[v]
+                if m >= least:
+                    now[t] = (i - m + 1, v)
+            for t, (first, v) in running.items():
+                if t not in now or now[t][0] != first:  # it does not go on
+                    matches.setdefault(t, []).append((first, i - 1, v))
+            running = now
+        for t, (first, v) in running.items():
+            matches.setdefault(t, []).append((first, len(words) - 1, v))
         return hits, matches
 
 
-def chain(matches: list[tuple[int, int, int]], ends: list[dict[int, int]], gap: int) -> dict[int, list[tuple[int, int, int]]]:
-    """Per template: spans (first, last, words covered) of matches that follow each other in text and template."""
+def chain(matches: dict[int, list[tuple[int, int, int]]], ends: list[dict[int, list[int]]], gap: int) -> dict[int, list[tuple[int, int, int]]]:
+    """Per template: spans (first, last, template words covered) of matches that follow each other in text and template, each put
+    at the first place of the template that still follows."""
+    from bisect import bisect_right
+
     spans: dict[int, list[list[int]]] = {}
-    for first, last, state in matches:
-        for t, at in ends[state].items():
-            own = spans.setdefault(t, [])
-            if own and first - own[-1][1] - 1 <= gap and at > own[-1][3]:
-                fresh = last - max(first, own[-1][1] + 1) + 1
-                own[-1][1:] = [last, own[-1][2] + fresh, at]
+    for t, found in matches.items():
+        own = spans.setdefault(t, [])
+        for first, last, state in found:
+            places = ends[state][t]
+            if own and first - own[-1][1] - 1 <= gap and (k := bisect_right(places, own[-1][3])) < len(places):
+                fresh = min(last - max(first, own[-1][1] + 1) + 1, places[k] - own[-1][3])
+                own[-1][1:] = [last, own[-1][2] + fresh, places[k]]
             else:
-                own.append([first, last, last - first + 1, at])
+                own.append([first, last, last - first + 1, places[0]])
     return {t: [tuple(s[:3]) for s in own] for t, own in spans.items()}
 
 
 SCHEMA = "n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, spans array<struct<label:string,first:long,last:long,covered:double>>"
 
 
-def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: dict | None = None, base: dict | None = None, least: int = 4, gap: int = 4, cover: float = 0.6) -> DataFrame:
+def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: dict | None = None, base: dict | None = None, named: dict | None = None, least: int = 4, gap: int = 4, cover: float = 0.6) -> DataFrame:
     """One row per row of docs: counts of base phrases, labels, and the covered spans.
 
     least: shortest match that is chained; gap: words between chained matches; cover: share of a template's
-    words that must be covered for its label. score is the largest such share of any template (1 at a base phrase).
+    words that must be covered for its label. score is the largest such share of any template (1 at a phrase). named: further phrases that
+    give a label without being base.
     """
     base = BASE if base is None else base
     labels, texts = [], []
@@ -171,8 +223,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templa
         for t in all_of_it:
             labels.append(label)
             texts.append(words_of(t))
-    phrases = [words_of(p) for p in base]
-    of_phrase = list(base.values())
+    named = NAMES if named is None else named
+    phrases = [words_of(p) for p in (*base, *named)]
+    of_phrase, n_base = [*base.values(), *named.values()], len(base)
     parts = texts + phrases
     out_schema = f"`{id_col}` {dict(docs.dtypes)[id_col]}, {SCHEMA}"
 
@@ -188,8 +241,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templa
                 words = words_of(text)
                 hits, matches = auto.stream(words, least)
                 found, spans, score = {of_phrase[k] for _, k in hits}, [], 1.0 if hits else 0.0
-                base_labels = ",".join(sorted(found))
-                for t, own in chain(matches, auto.ends, gap).items() if matches else ():
+                hit_base = [(at, k) for at, k in hits if k < n_base]
+                base_labels = ",".join(sorted({of_phrase[k] for _, k in hit_base}))
+                for t, own in chain(matches, auto.ends, gap).items():
                     if t < len(texts):
                         for first, last, covered in own:
                             share = min(1.0, covered / len(texts[t]))
@@ -197,8 +251,9 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templa
                             if share >= cover:
                                 found.add(labels[t])
                                 spans.append({"label": labels[t], "first": first, "last": last, "covered": share})
-                starts = [s for s, _ in hits]
-                rows.append((len(words), len(hits), min(starts, default=None), max(starts, default=None), base_labels, ",".join(sorted(found)), score, spans))
+                starts = [at for at, _ in hit_base]
+                spans.sort(key=lambda x: (x["first"], x["last"], x["label"]))
+                rows.append((len(words), len(hit_base), min(starts, default=None), max(starts, default=None), base_labels, ",".join(sorted(found)), score, spans))
             cols = list(zip(*rows, strict=True)) if rows else [[] for _ in kind]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(list(c), type=f.type) for c, f in zip(cols, kind, strict=True))], names=[id_col, *(f.name for f in kind)])
 

@@ -1,6 +1,7 @@
 """Best-fit packing: documents become sequences of at most `size` tokens.
 
-Every task packs its own documents as they come: a fixed number of bins is open, and a bitset (a Python integer)
+Every task packs its own documents as they come, and takes `task_bytes` of text however small the partitions of the input are, so that
+few bins stay open at the ends of tasks: a fixed number of bins is open, and a bitset (a Python integer)
 has bit f set while some open bin has f tokens free. The best fit for a piece of n tokens is the lowest set bit at
 or above n. When no bin fits and all are open, the fullest (lowest bit) closes. Longer documents are cut first, with
 the short piece in front; whole pieces of `size` tokens are sequences of their own.
@@ -19,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import slices
 
-SIZE, OPEN, END = 2048, 1024, 0
+SIZE, OPEN, END, TASK_BYTES = 2048, 1024, 0, 16 << 20
 
 
 class Bins:
@@ -82,7 +83,7 @@ def encoder(path: str | None = None):
 SCHEMA = "piece int, start long, length long, ids_crc32 long, sequence_id long, `offset` long"
 
 
-def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, bins: int = OPEN, tokenizer: str | None = None, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, bins: int = OPEN, tokenizer: str | None = None, with_ids: bool = False, task_bytes: int = TASK_BYTES) -> DataFrame:
     """One row per piece: document, piece, its place in its document and in its sequence; with_ids adds the ids themselves."""
     schema = f"`{id_col}` {dict(docs.dtypes)[id_col]}, {SCHEMA}" + ", ids array<int>" * with_ids
 
@@ -113,7 +114,9 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size:
                 arrays, names = [*arrays, pa.array(ids_col, pa.list_(pa.int32()))], [*names, "ids"]
             yield pa.RecordBatch.from_arrays(arrays, names=names)
 
-    return docs.select(F.col(id_col), F.col(text_col)).mapInArrow(run, schema)
+    # an empty text is a token too
+    mass = docs.agg(F.sum(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))).cast("long") + 4).alias("b")).first()["b"] or 0
+    return docs.select(F.col(id_col), F.col(text_col)).coalesce(max(1, -(-mass // task_bytes))).mapInArrow(run, schema)
 
 
 def query(spark, sf_dir: str) -> DataFrame:
