@@ -6,7 +6,6 @@ and their number is what grows. Across hulls only recordings that share a rare m
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -17,6 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..functions.vectors import dot, unit
+from ..stage import discard, settled
 from .augment import znorm
 
 
@@ -117,26 +117,18 @@ def require(measures: DataFrame, verdict: DataFrame, rule: str) -> DataFrame:
     return measures.crossJoin(F.broadcast(ok)).where(stop).drop("ok")
 
 
-def _cut(df: DataFrame) -> DataFrame:
-    """df read back from a table in the shared checkpoint folder, or checkpointed where none is set."""
-    spark = df.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None) or (spark.sparkContext.getCheckpointDir() if spark.sparkContext.getCheckpointDir() else None)
-    if folder is None:
-        folder = "/tmp/passagekit-checkpoints"  # only where the session names none, as in tests
-    path = f"{folder}/transits-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.parquet(path)
-
-
 def transits(edges: DataFrame, rec: DataFrame) -> DataFrame:
     """rid, hull, transit_id (smallest rid reachable by edges a-b). Labels halve their distance by pointer jumps each round."""
-    both = _cut(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    label = _cut(both.groupBy(F.col("a").alias("rid")).agg(F.least(F.col("rid"), F.min("b")).alias("to")))
+    both = settled(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    label = settled(both.groupBy(F.col("a").alias("rid")).agg(F.least(F.col("rid"), F.min("b")).alias("to")))
+    old = None
     while True:
         near = both.join(label.select(F.col("rid").alias("b"), "to"), "b").groupBy(F.col("a").alias("rid")).agg(F.min("to").alias("seen"))
         hop = label.select(F.col("rid").alias("to"), F.col("to").alias("far"))
-        new = _cut(label.join(near, "rid").join(hop, "to", "left").select("rid", F.least("to", "seen", F.coalesce("far", "to")).alias("new"), F.col("to").alias("old")))
-        label = new.select("rid", F.col("new").alias("to"))
+        new = settled(label.join(near, "rid").join(hop, "to", "left").select("rid", F.least("to", "seen", F.coalesce("far", "to")).alias("new"), F.col("to").alias("old")))
+        if old is not None:
+            discard(old)
+        old, label = new, new.select("rid", F.col("new").alias("to"))
         if new.where("new <> old").isEmpty():
             return rec.select("rid", "hull").join(label, "rid", "left").select("rid", "hull", F.coalesce("to", "rid").alias("transit_id"))
 

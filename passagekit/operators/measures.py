@@ -23,9 +23,13 @@ def labelled(scores: DataFrame, genuine: str = "best") -> DataFrame:
 
 def roc(points: DataFrame) -> DataFrame:
     """Cumulative genuine and impostor shares at or above each distinct score, with those at the score itself."""
-    by = points.groupBy("method", "sim").agg(F.sum("same").alias("g"), F.sum(1 - F.col("same")).alias("i"))
-    down, every = W.partitionBy("method").orderBy(F.col("sim").desc()), W.partitionBy("method")
-    return by.select("method", "sim", "g", "i", F.sum("g").over(down).alias("cg"), F.sum("i").over(down).alias("ci"), F.sum("g").over(every).alias("tg"), F.sum("i").over(every).alias("ti"))
+    by = points.groupBy("method", "sim").agg(F.sum("same").alias("g"), F.sum(1 - F.col("same")).alias("i")).withColumn("bin", F.floor(F.col("sim") * 1024))
+    # sums of narrow bins of scores run over few rows a method; the scores of a bin are one task's work, not those of a method
+    bins = by.groupBy("method", "bin").agg(F.sum("g").alias("bg"), F.sum("i").alias("bi"))
+    above, every = W.partitionBy("method").orderBy(F.col("bin").desc()).rowsBetween(W.unboundedPreceding, -1), W.partitionBy("method")
+    bins = bins.select("method", "bin", F.coalesce(F.sum("bg").over(above), F.lit(0)).alias("ag"), F.coalesce(F.sum("bi").over(above), F.lit(0)).alias("ai"), F.sum("bg").over(every).alias("tg"), F.sum("bi").over(every).alias("ti"))
+    down = W.partitionBy("method", "bin").orderBy(F.col("sim").desc())
+    return by.join(bins, ["method", "bin"]).select("method", "sim", "g", "i", (F.col("ag") + F.sum("g").over(down)).alias("cg"), (F.col("ai") + F.sum("i").over(down)).alias("ci"), "tg", "ti")
 
 
 def auc(points: DataFrame) -> DataFrame:
@@ -37,9 +41,9 @@ def auc(points: DataFrame) -> DataFrame:
 
 def eer(points: DataFrame) -> DataFrame:
     """Where false accepts equal false rejects, linear between neighbouring thresholds."""
-    r = roc(points).select("method", "sim", (F.col("ci") / F.col("ti")).alias("far"), (1 - F.col("cg") / F.col("tg")).alias("frr"))
-    w = W.partitionBy("method").orderBy(F.col("sim").desc())
-    r = r.withColumn("far0", F.coalesce(F.lag("far").over(w), F.lit(0.0))).withColumn("frr0", F.coalesce(F.lag("frr").over(w), F.lit(1.0)))
+    # what stands above a score is the point before it
+    far, frr = F.col("ci") / F.col("ti"), 1 - F.col("cg") / F.col("tg")
+    r = roc(points).select("method", "sim", far.alias("far"), frr.alias("frr"), ((F.col("ci") - F.col("i")) / F.col("ti")).alias("far0"), (1 - (F.col("cg") - F.col("g")) / F.col("tg")).alias("frr0"))
     a, b = F.col("frr0") - F.col("far0"), F.col("far") - F.col("frr")
     at = F.col("far0") + (F.col("far") - F.col("far0")) * F.coalesce(a / F.nullif(a + b, F.lit(0.0)), F.lit(0.0))
     return r.where("far >= frr and far0 < frr0").groupBy("method").agg(F.round(F.max_by(at, F.col("sim")), 6).alias("eer"))
@@ -70,10 +74,15 @@ def gap(scores: DataFrame) -> DataFrame:
 def win_matrix(scores: DataFrame) -> DataFrame:
     """Per method and pair of query hulls: wins (ties one half) and pairs of genuine against impostor scores. All that a
     hull bootstrap of the AUC needs: a replicate with multiplicities w is sum w w wins / sum w w pairs."""
-    g = scores.where("q_hull = g_hull").groupBy("method", "query_id", "q_hull").agg(F.max("sim").alias("gs")).groupBy("method", F.col("q_hull").alias("g_of"), "gs").agg(F.count(F.lit(1)).alias("m"))
-    i = scores.where("q_hull <> g_hull").select("method", F.col("q_hull").alias("i_of"), "sim")
-    won = F.when(F.col("gs") > F.col("sim"), 1.0).when(F.col("gs") == F.col("sim"), 0.5).otherwise(0.0)
-    return g.join(i, "method").groupBy("method", "g_of", "i_of").agg(F.sum(F.col("m") * won).alias("wins"), F.sum("m").alias("pairs"))
+    g = scores.where("q_hull = g_hull").groupBy("method", "query_id", "q_hull").agg(F.max("sim").alias("sim")).groupBy("method", F.col("q_hull").alias("g_of"), "sim").agg(F.count(F.lit(1)).alias("m"))
+    i = scores.where("q_hull <> g_hull").groupBy("method", F.col("q_hull").alias("i_of"), "sim").agg(F.count(F.lit(1)).alias("k"))
+    # a genuine score goes to every hull once (as many rows as the result needs) and is ranked among that hull's impostor scores
+    hulls = i.select("method", "i_of").distinct()
+    every = g.join(hulls, "method").select("method", "i_of", "sim", "g_of", "m", F.lit(0).cast("long").alias("k")).unionByName(i.select("method", "i_of", "sim", F.lit(None).cast("long").alias("g_of"), F.lit(0).cast("long").alias("m"), "k"))
+    one = W.partitionBy("method", "i_of")
+    upto, same = F.sum("k").over(one.orderBy("sim").rangeBetween(W.unboundedPreceding, 0)), F.sum("k").over(W.partitionBy("method", "i_of", "sim"))
+    ranked = every.withColumn("won", upto - 0.5 * same).withColumn("n", F.sum("k").over(one)).where("m > 0")
+    return ranked.groupBy("method", "g_of", "i_of").agg(F.sum(F.col("m") * F.col("won")).alias("wins"), F.sum(F.col("m") * F.col("n")).alias("pairs"))
 
 
 def draws(hulls: DataFrame, b: int) -> DataFrame:

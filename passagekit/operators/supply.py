@@ -48,14 +48,14 @@ def sessions(ev: DataFrame, gap: str = "24 hours") -> DataFrame:
     return ev.groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count(F.lit(1)).alias("n"), F.min("ts").alias("first"), F.max("ts").alias("last")).drop("w")
 
 
-def segment(rec: DataFrame, width: int, least: int, tail: str = "last") -> DataFrame:
-    """start and is_tail of windows of n samples: whole ones, and for a tail of at least `least` the last `width` samples."""
+def segment(rec: DataFrame, width: int, least: int, tail: str = "last", keep: tuple = ()) -> DataFrame:
+    """start and is_tail of windows of n samples: whole ones, and for a tail of at least `least` the last `width` samples. keep: columns to carry along."""
     n = F.col("n_samples")
     starts = F.transform(F.sequence(F.lit(0), F.expr(f"n_samples div {width}").cast("int")), lambda i: (i * width).cast("long"))
     starts = F.filter(starts, lambda s: s + width <= n)
     extra = (n >= width) & (n % width >= least) if tail == "last" else F.lit(False)
     every = F.concat(F.transform(starts, lambda s: F.struct(s.alias("start"), F.lit(False).alias("is_tail"))), F.when(extra, F.array(F.struct((n - width).cast("long").alias("start"), F.lit(True).alias("is_tail")))).otherwise(F.array().cast("array<struct<start:bigint,is_tail:boolean>>")))
-    return rec.select("recording_id", "n_samples", F.inline(every))
+    return rec.select("recording_id", "n_samples", *keep, F.inline(every))
 
 
 def lr_schedule(spark: SparkSession, epochs: int = 40, warm: int = 3, low: float = 1e-4, high: float = 1e-3, floor: float = 1e-6) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -13,8 +13,8 @@ def spectrum(frames: DataFrame, n: int, bins: int) -> DataFrame:
     """rec, frame, bin, power of frames with x (array of n doubles)."""
     turn = lambda f: F.aggregate(F.transform("x", lambda v, i: v * f(F.lit(2 * math.pi) * F.col("bin") * i / F.lit(float(n)))), F.lit(0.0), lambda a, b: a + b)
     e = frames.withColumn("bin", F.explode(F.sequence(F.lit(1), F.lit(bins))))
-    re, im = turn(F.cos), turn(F.sin)
-    return e.select("rec", "frame", F.col("bin").cast("long").alias("bin"), (re * re + im * im).alias("power"))
+    power = F.transform(F.array(F.struct(turn(F.cos).alias("re"), turn(F.sin).alias("im"))), lambda c: c["re"] * c["re"] + c["im"] * c["im"])[0]
+    return e.select("rec", "frame", F.col("bin").cast("long").alias("bin"), power.alias("power"))
 
 
 def whiten(spec: DataFrame, w: int = 4, g: int = 1, alpha: float = 2.0) -> DataFrame:
@@ -38,9 +38,41 @@ def persistent(found: DataFrame, frames: DataFrame, rho: float = 0.5) -> DataFra
     return by.join(n, "rec").withColumn("persistence", F.col("k") / F.col("n")).where(F.col("persistence") >= rho).select("rec", "bin", "persistence")
 
 
+def line_sets(found: DataFrame) -> DataFrame:
+    """rec and bits: the bins (1 to 62) of its lines as one number."""
+    return found.groupBy("rec").agg(F.expr("bit_or(shiftleft(1L, cast(bin as int)))").alias("bits"))
+
+
+def spread(bits: Column, tol: int) -> Column:
+    """bits and all within tol bins of them."""
+    out = bits
+    for k in range(1, tol + 1):
+        out = out.bitwiseOR(F.shiftleft(bits, k)).bitwiseOR(F.shiftright(bits, k))
+    return out
+
+
+def fraction(q: Column, g: Column, tol: int = 1) -> Column:
+    """Share of q's lines with a line of g within tol bins."""
+    return F.bit_count(q.bitwiseAND(spread(g, tol))) / F.bit_count(q)
+
+
+def symmetric(q: Column, g: Column, tol: int = 1) -> Column:
+    """The same from both sides: matched lines of both over all lines of both."""
+    return (F.bit_count(q.bitwiseAND(spread(g, tol))) + F.bit_count(g.bitwiseAND(spread(q, tol)))) / (F.bit_count(q) + F.bit_count(g))
+
+
 def matched_fraction(q: DataFrame, g: DataFrame, tol: int = 1) -> DataFrame:
-    """Share of a query's lines with a gallery line within tol bins: an equi join on the neighbouring bins."""
-    a = q.select(F.col("rec").alias("query_id"), F.col("bin").alias("qb"), F.explode(F.sequence(F.col("bin") - tol, F.col("bin") + tol)).alias("bin"))
-    hit = a.join(g.select(F.col("rec").alias("gallery_id"), "bin"), "bin").where("query_id <> gallery_id").select("query_id", "gallery_id", "qb").distinct()
-    n = q.groupBy(F.col("rec").alias("query_id")).agg(F.count(F.lit(1)).alias("n"))
-    return hit.groupBy("query_id", "gallery_id").agg(F.count(F.lit(1)).alias("k")).join(n, "query_id").select("query_id", "gallery_id", (F.col("k") / F.col("n")).alias("sim"))
+    """Share of a query's lines with a gallery line within tol bins, for pairs that share one.
+
+    Recordings with the same lines score alike, so scores are computed between distinct line sets, and pairs come of those.
+    """
+    q, g = line_sets(q).withColumnRenamed("rec", "query_id"), line_sets(g).withColumnRenamed("rec", "gallery_id")
+    kinds = q.select(F.col("bits").alias("qb")).distinct().crossJoin(g.select(F.col("bits").alias("gb")).distinct())
+    kinds = kinds.withColumn("sim", fraction(F.col("qb"), F.col("gb"), tol)).where("sim > 0")
+    return kinds.join(q.withColumnRenamed("bits", "qb"), "qb").join(g.withColumnRenamed("bits", "gb"), "gb").where("query_id <> gallery_id").select("query_id", "gallery_id", "sim")
+
+
+def common_lines(found: DataFrame, a: int, b: int, tol: int = 1) -> DataFrame:
+    """The lines of recording a that recording b has too, with their persistence."""
+    x, y = found.where(F.col("rec") == a), found.where(F.col("rec") == b).select(F.explode(F.sequence(F.col("bin") - tol, F.col("bin") + tol)).alias("bin")).distinct()
+    return x.join(y, "bin", "left_semi")

@@ -9,9 +9,10 @@ from ..functions.vectors import binomial_two_sided
 from ..operators import measures as M
 from ..operators import protocol as P
 from ..sources import carriers as C
+from ..stage import settled
 
 # ---- DuckDB side: the carriers and scores as common table expressions
-BASE = "base as (select vec_id i, embedding::double[] v from embeddings where vec_id < 500)"
+BASE = "base as (select vec_id i, embedding::double[] v from embeddings), sz as (select count(*) cnt, 40 * greatest(1, count(*) // 500) hulls from embeddings)"
 
 
 POOLED = """pm as (select label::bigint hull_id, vec_id % 50 b, k, round(avg(e::double), 12) m from (select label, vec_id, unnest(embedding) e, generate_subscripts(embedding, 1) k from embeddings) group by all),
@@ -22,8 +23,8 @@ POOLED = """pm as (select label::bigint hull_id, vec_id % 50 b, k, round(avg(e::
 def _planted(name: str, sh: int = 11, sp: int = 97, lam: float = 2.0, off: float = 0.0) -> str:
     lift = f" + {off} * at_v[k]" if off else ""
     return f"""{name}_r as (select h, p, list_transform(range(1, 65), lambda k: o.v[k] + {lam} * n.v[k]{lift.replace('at_v', 't.v')}) v
-      from (select unnest(range(40)) h) a, (select unnest(range(4)) p) b, base o, base n, base t
-      where p < case when h < 3 then 1 when h < 22 then 2 when h < 36 then 3 else 4 end and o.i = h and n.i = 40 + ({sh} * h + {sp} * p) % 460 and t.i = case when h % 2 = 0 then 499 else 498 end),
+      from (select unnest(range((select hulls from sz))) h) a, (select unnest(range(4)) p) b, sz, base o, base n, base t
+      where p < case when h % 40 < 3 then 1 when h % 40 < 22 then 2 when h % 40 < 36 then 3 else 4 end and o.i = h and n.i = hulls + ({sh} * h + {sp} * p) % (cnt - hulls) and t.i = case when h % 2 = 0 then cnt - 1 else cnt - 2 end),
     {name} as (select row_number() over (order by h, p) - 1 passage_id, h hull_id, p passage_no, {"case when h % 2 = 0 then 'A' else 'B' end" if off else "'A'"} source, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) vec from {name}_r)"""
 
 
@@ -47,14 +48,17 @@ ROW = f"select m.*, auc, eer from (select method, {RANK_COLS} from r group by me
 
 
 def _ab(spark, d):
+    """Scores of both networks and their fusion; passages and scores are computed once."""
     emb = C.table(spark, d, "embeddings")
-    a, b = P.leave_one_out(C.planted(emb)), P.leave_one_out(C.planted(emb, 29, 53), method="b")
+    a, b = P.leave_one_out(settled(C.planted(emb))), P.leave_one_out(settled(C.planted(emb, 29, 53)), method="b")
+    both = settled(a.unionByName(b))
+    a, b = both.where("method = 'a'"), both.where("method = 'b'")
     return a, b, P.fuse(a, b)
 
 
 def _all(spark, d):
     a, b, f = _ab(spark, d)
-    return a.unionByName(b).unionByName(f)
+    return settled(a.unionByName(b).unionByName(f))
 
 
 def table(spark, d):
@@ -64,33 +68,36 @@ def table(spark, d):
 
 def _one(i: int):
     def run(spark, d):
-        s = _ab(spark, d)[i]
+        s = settled(_ab(spark, d)[i])
         return M.evaluate(s, P.true_rank(s))
 
     return run
 
 
 def _planted_scores(spark, d, **kw):
-    return P.leave_one_out(C.planted(C.table(spark, d, "embeddings"), **kw))
+    return settled(P.leave_one_out(settled(C.planted(C.table(spark, d, "embeddings"), **kw))))
 
 
 def purity(spark, d):
-    p = C.planted(C.table(spark, d, "embeddings"), off=2.0)
+    p = settled(C.planted(C.table(spark, d, "embeddings"), off=2.0))
     s = P.leave_one_out(p, pure=False, method="mixed").unionByName(P.leave_one_out(p, method="pure"))
+    s = settled(s)
     return M.evaluate(s, P.true_rank(s))
 
 
 def dedup_effect(spark, d):
-    p = C.planted_duplicates(C.table(spark, d, "embeddings"))
+    p = settled(C.planted_duplicates(C.table(spark, d, "embeddings")))
     s = P.leave_one_out(p, method="recordings").unionByName(P.leave_one_out(p.where("dup_of is null"), method="transits"))
+    s = settled(s)
     return M.rank_measures(P.true_rank(s))
 
 
 def difficulty(spark, d):
     emb, out = C.table(spark, d, "embeddings"), None
     for lam in (1.5, 2.0, 2.5, 3.0):
-        s = P.leave_one_out(C.planted(emb, lam=lam), method=f"lam{lam}")
+        s = P.leave_one_out(settled(C.planted(emb, lam=lam)), method=f"lam{lam}")
         out = s if out is None else out.unionByName(s)
+    out = settled(out)
     return M.evaluate(out, P.true_rank(out))
 
 
@@ -109,12 +116,12 @@ def open_set_decide(spark, d):
 
 
 def null_table(spark, d):
-    s = P.leave_one_out(C.label_passages(C.table(spark, d, "embeddings")))
+    s = settled(P.leave_one_out(settled(C.label_passages(C.table(spark, d, "embeddings")))))
     return M.evaluate(s, P.true_rank(s))
 
 
 def chance(spark, d):
-    s = P.leave_one_out(C.label_passages(C.table(spark, d, "embeddings")), keep_singletons=False)
+    s = P.leave_one_out(settled(C.label_passages(C.table(spark, d, "embeddings"))), keep_singletons=False)
     by = s.groupBy("query_id").agg((F.count_if(F.col("q_hull") == F.col("g_hull")) / F.count(F.lit(1))).alias("c"))
     return by.agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("c"), 6).alias("chance_rank1"))
 
@@ -161,11 +168,11 @@ def wins(spark, d):
 
 def closed_set(spark, d):
     """Argmax over hull prototypes: answers always, so it can never say unknown."""
-    p = C.planted(C.table(spark, d, "embeddings"))
+    p = settled(C.planted(C.table(spark, d, "embeddings")))
     proto = P.collapse(p.where("passage_no = 0")).select(F.col("hull_id").alias("named"), F.col("vec").alias("w"))
     from ..functions.vectors import dot
 
-    s = p.where("passage_no > 0").crossJoin(F.broadcast(proto)).withColumn("sim", F.round(dot("vec", "w"), 9))
+    s = p.where("passage_no > 0").crossJoin(proto).withColumn("sim", F.round(dot("vec", "w"), 9))
     top = F.row_number().over(W.partitionBy("passage_id").orderBy(F.col("sim").desc(), "named"))
     return s.withColumn("k", top).where("k = 1").select("passage_id", "hull_id", "named", "sim")
 
@@ -190,12 +197,12 @@ TABLE = {
     "xpass_true_rank": (lambda s, d: P.true_rank(_all(s, d)).select("method", "query_id", "rank", "candidates"), f"with {THREE} select method, query_id, rank, candidates from r"),
     "difficulty_sweep": (difficulty, "with " + BASE + ", " + ", ".join(f"{_planted(f'p{k}', lam=lam)}, {_scores(f's{k}', f'p{k}', f'lam{lam}')}" for k, lam in enumerate((1.5, 2.0, 2.5, 3.0))) + f", s as (select * from s0 union all select * from s1 union all select * from s2 union all select * from s3), {RANKS}, {POINTS} {ROW}"),
     "purity_contrast": (purity, f"with {BASE}, {_planted('pa', off=2.0)}, {_scores('sm', 'pa', 'mixed', False)}, {_scores('sp', 'pa', 'pure')}, s as (select * from sm union all select * from sp), {RANKS}, {POINTS} {ROW}"),
-    "dedup_effect": (dedup_effect, f"with {BASE}, {_planted('p0')}, du as (select passage_id + 1000 passage_id, hull_id, passage_no, source, list_transform(range(1, 65), lambda k: vec[k] + 0.1 * v[k]) u from p0 join base on i = 40 + (7 * passage_id + 3) % 460 where passage_id % 6 = 0), pa as (select * from p0 union all select passage_id, hull_id, passage_no, source, list_transform(u, lambda x: x / sqrt(list_dot_product(u, u))) from du), {_scores('sr', 'pa', 'recordings')}, {_scores('st', 'p0', 'transits')}, s as (select * from sr union all select * from st), {RANKS} select method, {RANK_COLS} from r group by method"),
+    "dedup_effect": (dedup_effect, f"with {BASE}, {_planted('p0')}, du as (select -1 - passage_id passage_id, hull_id, passage_no, source, list_transform(range(1, 65), lambda k: vec[k] + 0.1 * v[k]) u from p0, sz, base where i = hulls + (7 * passage_id + 3) % (cnt - hulls) and passage_id % 6 = 0), pa as (select * from p0 union all select passage_id, hull_id, passage_no, source, list_transform(u, lambda x: x / sqrt(list_dot_product(u, u))) from du), {_scores('sr', 'pa', 'recordings')}, {_scores('st', 'p0', 'transits')}, s as (select * from sr union all select * from st), {RANKS} select method, {RANK_COLS} from r group by method"),
     "open_set_sweep": (open_set, f"with {SINGLE}, t as (select * from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1), k as (select round(unnest(range(21)) * 0.05::double, 2) tau) select tau, count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull = g_hull) as \"right\", count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull <> g_hull) wrong, count(*) filter (where sim >= tau and q_hull % 3 = 0) false_accept, count(*) filter (where sim < tau and q_hull % 3 <> 0) false_reject, count(*) filter (where sim < tau and q_hull % 3 = 0) as unknown from t, k group by tau"),
     "open_set_decide": (open_set_decide, f"with {SINGLE} select query_id, gallery_id, sim, case when sim >= 0.3 then 'accept' else 'unknown' end verdict from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1"),
     "null_metrics": (null_table, f"with {POOLED}, {_scores('s', 'pa', 'a')}, {RANKS}, {POINTS} {ROW}"),
     "chance_level": (chance, f"with {POOLED}, {_scores('s', 'pa', 'a', True, False)} select count(*) n, round(avg(c), 6) chance_rank1 from (select count(*) filter (where q_hull = g_hull) / count(*) c from s group by query_id)"),
-    "null_gap": (lambda s, d: M.gap(P.leave_one_out(C.label_passages(C.table(s, d, "embeddings")), pure=False)), f"with {POOLED}, {_scores('s', 'pa', 'a', False)} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
+    "null_gap": (lambda s, d: M.gap(P.leave_one_out(settled(C.label_passages(C.table(s, d, "embeddings"))), pure=False)), f"with {POOLED}, {_scores('s', 'pa', 'a', False)} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
     "val_gap": (lambda s, d: M.gap(_planted_scores(s, d)), f"with {SINGLE} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
     "genuine_corr": (genuine_corr, f"with {THREE}, x as (select query_id, max(best) filter (where method = 'a') a, max(best) filter (where method = 'b') b, max(rank) filter (where method = 'a') ra, max(rank) filter (where method = 'b') rb from r group by query_id) select round(corr(a, b), 6) r, count(*) filter (where (ra = 1) <> (rb = 1)) discordant, round(avg(case when (ra = 1) <> (rb = 1) then 1.0 else 0 end), 6) share from x"),
     "mcnemar_contrasts": (lambda s, d: M.mcnemar(P.true_rank(_all(s, d))), f"with {THREE}, {MC} select * from mp"),

@@ -15,6 +15,7 @@ from ..operators import measures as M
 from ..operators import protocol as P
 from ..operators import supply as S
 from ..sources import carriers as C
+from ..stage import settled
 from . import retrieval as R
 
 WIDTH, BINS, STEP = 3500.0, 32, 2000.0
@@ -56,7 +57,7 @@ TRANSITS = f"with recursive {EV}, {CLOSURE}, reach as (select rid a, rid b from
 
 
 def _rec(s, d):
-    return D.prepared(C.supplier_years(C.table(s, d, "lineitem")), WIDTH, BINS, STEP)
+    return settled(D.prepared(C.supplier_years(C.table(s, d, "lineitem")), WIDTH, BINS, STEP))
 
 
 def _evidence(s, d):
@@ -111,14 +112,14 @@ def fft_evidence(s, d):
     return D.fft_evidence(D.nominate(_rec(s, d), carry=("x",))).groupBy("reason").agg(F.count(F.lit(1)).alias("pairs"), F.count_if(RULES[0].verdict(F.col("t"), F.col("w")) != "distinct").alias("confirmed"), F.avg("t").alias("mean_t"))
 
 
-# ---- augmentation, on the years' first sixteen prices beside a fixed ambient series
-SEG = f"{REC}, sg as (select rid, list_transform(x[1:16], lambda v: v / 1000) x from rec where len(x) >= 16), am as (select rid, x, list_transform(range(16), lambda i: sin(1.7 * i)) nz from sg)"
+# ---- augmentation of whole series beside a fixed ambient series
+SEG = f"{REC}, sg as (select rid, list_transform(x, lambda v: v / 1000) x from rec), am as (select rid, x, list_transform(range(len(x)), lambda i: sin(1.7 * i)) nz from sg)"
 
 
 def _seg(s, d):
-    rec = C.supplier_years(C.table(s, d, "lineitem")).where("size(x) >= 16")
-    nz = F.transform(F.sequence(F.lit(0), F.lit(15)), lambda i: F.sin(F.lit(1.7) * i))
-    return rec.select("rid", F.transform(F.slice("x", 1, 16), lambda v: v / 1000).alias("x"), nz.alias("nz"))
+    rec = C.supplier_years(C.table(s, d, "lineitem"))
+    nz = F.transform("x", lambda v, i: F.sin(F.lit(1.7) * i))
+    return rec.select("rid", F.transform("x", lambda v: v / 1000).alias("x"), nz.alias("nz"))
 
 
 def _summed(df, y):
@@ -127,7 +128,7 @@ def _summed(df, y):
 
 
 def _aug(make, sql):
-    return (lambda s, d: _summed(_seg(s, d), make(F.col("x"), F.col("nz"))), f"with {SEG}, y as (select rid, {sql} y from am) select rid, round(list_sum(list_transform(range(1, 17), lambda i: y[i] * i)), 6) mark from y")
+    return (lambda s, d: _summed(_seg(s, d), make(F.col("x"), F.col("nz"))), f"with {SEG}, y as (select rid, {sql} y from am) select rid, round(list_sum(list_transform(range(1, len(y) + 1), lambda i: y[i] * i)), 6) mark from y")
 
 
 def gain_inert(s, d):
@@ -166,9 +167,9 @@ def encoder_params(s, d):
 
 
 def encoder_train(s, d):
-    """Margin-loss training on the hulls of one nation's suppliers; a model needs a fixed set of classes, not the corpus."""
+    """Margin-loss training on the hulls of all suppliers: the classes of the head, which the driver holds anyway."""
     seg = _segments(s, d)
-    hulls = C.table(s, d, "supplier").where("s_nationkey = 0").select(F.col("s_suppkey").cast("long").alias("hull_id"), (F.row_number().over(W.orderBy("s_suppkey")) - 1).alias("cls"))
+    hulls = s.createDataFrame([(int(r[0]), k) for k, r in enumerate(C.table(s, d, "supplier").select("s_suppkey").distinct().orderBy("s_suppkey").collect())], "hull_id long, cls long")
     t = seg.join(F.broadcast(hulls), "hull_id").select(F.xxhash64("recording_id", "start").alias("tensor_id"), "cls", "x")
     _, history = E.train(s, t, E.SMALL, [1e-3, 1e-3]) if not hulls.isEmpty() else ({}, [])
     return s.createDataFrame([(a, float(b)) for a, b in history], "step long, loss double")
@@ -197,10 +198,10 @@ def split_half(s, d):
 
 def collapsed_gallery(s, d):
     """First passages query a gallery of one mean per hull made of the others."""
-    p = C.planted(C.table(s, d, "embeddings"))
+    p = settled(C.planted(C.table(s, d, "embeddings")))
     g = P.collapse(p.where("passage_no > 0")).select(F.col("hull_id").alias("g_hull"), F.col("vec").alias("gv"))
     q = p.where("passage_no = 0").select(F.col("passage_id").alias("query_id"), F.col("hull_id").alias("q_hull"), F.col("vec").alias("qv"))
-    sc = q.crossJoin(F.broadcast(g)).select(F.lit("collapsed").alias("method"), "query_id", F.col("g_hull").alias("gallery_id"), "q_hull", "g_hull", F.round(dot("qv", "gv"), 9).alias("sim"))
+    sc = q.crossJoin(g).select(F.lit("collapsed").alias("method"), "query_id", F.col("g_hull").alias("gallery_id"), "q_hull", "g_hull", F.round(dot("qv", "gv"), 9).alias("sim"))
     return M.rank_measures(P.true_rank(sc))
 
 
@@ -213,13 +214,13 @@ def boot_medr(s, d):
 
 def xnet_metrics(s, d):
     """Two query sets of a harder network, by the base vectors and by vectors without the enrolled hulls' mean within-hull difference."""
-    p = C.planted(C.table(s, d, "embeddings"), lam=3.0)
+    p = settled(C.planted(C.table(s, d, "embeddings"), lam=3.0))
     first = p.where("passage_no = 0 and hull_id % 2 = 0").select("hull_id", F.col("vec").alias("f"))
     diff = p.where("passage_no > 0").join(first, "hull_id").select(F.posexplode(add("vec", "f", -1.0))).groupBy("pos").agg(F.avg("col").alias("m"))
     axis = diff.agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda x: x["m"]).alias("u")).select(unit(F.col("u")).alias("u"))
     flat = F.zip_with("vec", "u", lambda a, b: a - b * F.col("along"))
     tuned = p.crossJoin(F.broadcast(axis)).withColumn("along", dot("vec", "u")).withColumn("vec", unit(flat)).drop("u", "along")
-    sc = P.leave_one_out(p, method="base").unionByName(P.leave_one_out(tuned, method="tuned"))
+    sc = settled(P.leave_one_out(p, method="base").unionByName(P.leave_one_out(settled(tuned), method="tuned")))
     both = sc.withColumn("method", F.concat_ws(" ", "method", F.lit("full"))).unionByName(sc.where("q_hull % 2 = 1").withColumn("method", F.concat_ws(" ", "method", F.lit("held-out"))))
     return M.evaluate(both, P.true_rank(both))
 
@@ -254,10 +255,10 @@ TABLE = {
     "dedup_cross_hull": (cross_hull, f"with {EV} select {JOINT} verdict, count(*) pairs from ev where reason = 'rare key' group by 1"),
     "dedup_merge_quality": (merge_quality, f"with {EV} select count(*) filter (where same and audio) in_both, count(*) filter (where same and not audio) metadata_only, count(*) filter (where not same and audio) audio_only from (select x.key = y.key same, {JOINT} <> 'distinct' audio from ev join pre x on x.rid = a join pre y on y.rid = b where reason = 'same hull')"),
     "dedup_fft_evidence": (fft_evidence, None),
-    "aug_roll": _aug(lambda x, n: A.roll(x, 5), "list_concat(x[12:16], x[1:11])"),
-    "aug_mask": _aug(lambda x, n: A.mask_with_ambient(x, n, 3, 4), "list_transform(range(1, 17), lambda i: case when i between 4 and 7 then nz[i] else x[i] end)"),
-    "aug_mix": _aug(lambda x, n: A.mix_ambient(x, n, 10.0), "list_transform(range(1, 17), lambda i: x[i] + nz[i] * sqrt(list_dot_product(x, x) / list_dot_product(nz, nz) / 10))"),
-    "aug_multipath": _aug(lambda x, n: A.multipath(x, [(2, -0.3), (5, 0.2)]), "list_transform(range(1, 17), lambda i: x[i] + case when i > 2 then -0.3 * x[i - 2] else 0 end + case when i > 5 then 0.2 * x[i - 5] else 0 end)"),
+    "aug_roll": _aug(lambda x, n: A.roll(x, 5), "list_transform(range(1, len(x) + 1), lambda i: x[(((i - 6) % len(x)) + len(x)) % len(x) + 1])"),
+    "aug_mask": _aug(lambda x, n: A.mask_with_ambient(x, n, 3, 4), "list_transform(range(1, len(x) + 1), lambda i: case when i between 4 and 7 then nz[i] else x[i] end)"),
+    "aug_mix": _aug(lambda x, n: A.mix_ambient(x, n, 10.0), "list_transform(range(1, len(x) + 1), lambda i: x[i] + nz[i] * coalesce(sqrt(list_dot_product(x, x) / nullif(list_dot_product(nz, nz), 0) / 10), 0))"),
+    "aug_multipath": _aug(lambda x, n: A.multipath(x, [(2, -0.3), (5, 0.2)]), "list_transform(range(1, len(x) + 1), lambda i: x[i] + case when i > 2 then -0.3 * x[i - 2] else 0 end + case when i > 5 then 0.2 * x[i - 5] else 0 end)"),
     "aug_gain_inert": (gain_inert, f"with {SEG} select rid, 0.0::double mark from sg"),
     "aug_peak_check": (peak_check, None),
     "encoder_embed": (encoder_embed, None),

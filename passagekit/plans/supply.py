@@ -8,6 +8,7 @@ from pyspark.sql import Window as W
 from ..operators import supply as S
 from ..operators import tonal as T
 from ..sources.carriers import table
+from ..stage import settled
 from .retrieval import POOLED
 
 
@@ -16,10 +17,10 @@ def _pings(s, d):
 
 
 def _encounters(s, d):
-    return table(s, d, "orders").where("o_orderpriority = '1-URGENT' and o_orderstatus = 'F'").select(F.col("o_custkey").alias("hull_id"), F.col("o_orderkey").alias("recording_id"))
+    return table(s, d, "orders").select(F.col("o_custkey").alias("hull_id"), F.col("o_orderkey").alias("recording_id"))
 
 
-ENC = "enc as (select o_custkey hull_id, o_orderkey recording_id from orders where o_orderpriority = '1-URGENT' and o_orderstatus = 'F')"
+ENC = "enc as (select o_custkey hull_id, o_orderkey recording_id from orders)"
 U = "('0x' || substr(md5('7|' || hull_id), 1, 8))::bigint"
 
 
@@ -55,9 +56,9 @@ def meta_groups(s, d):
 
 def transits(s, d):
     """Byte-identical recordings of one hull (its language) are one transit; of two hulls they are label noise."""
-    rec = table(s, d, "documents").select("doc_id", "lang", F.md5("text").alias("h"))
-    own = rec.withColumn("transit_id", F.min("doc_id").over(W.partitionBy("lang", "h"))).withColumn("hulls", F.size(F.collect_set("lang").over(W.partitionBy("h"))))
-    return own.groupBy("lang").agg(F.count(F.lit(1)).alias("recordings"), F.count_distinct("transit_id").alias("transits"), F.count_if(F.col("hulls") > 1).alias("cross_hull"))
+    own = table(s, d, "documents").groupBy("lang", F.md5("text").alias("h")).agg(F.count(F.lit(1)).alias("n"))  # one row a transit, however many copies
+    hulls = own.groupBy("h").agg(F.count("lang").alias("hulls"))
+    return own.join(hulls, own["h"].eqNullSafe(hulls["h"])).groupBy("lang").agg(F.sum("n").alias("recordings"), F.count(F.lit(1)).alias("transits"), F.sum(F.when(F.col("hulls") > 1, F.col("n")).otherwise(0)).alias("cross_hull"))
 
 
 def dedup_rules(s, d):
@@ -87,10 +88,15 @@ WHITE = f"{FRAMES}, w1 as (select *, {_SIDES.format(c='power')} m from sp window
 
 def _lines(s, d):
     f = _frames(s, d)
-    found = T.lines(T.whiten(T.spectrum(f, 32, 16)))
+    found = settled(T.lines(T.whiten(T.spectrum(f, 32, 16))))
     return found, T.persistent(found, f, 0.1)
 
 
+def tonal_match(s, d):
+    own = settled(_lines(s, d)[1])
+    return T.matched_fraction(own, own).withColumn("sim", F.round("sim", 6))
+
+
 def history(s):
     return s.range(1, 41).select(F.col("id").alias("epoch"), (F.lit(0.4) - F.abs(F.col("id") - 21) * F.lit(0.01)).alias("gap"))
 
@@ -164,7 +170,7 @@ TABLE = {
     "tonal_dft": (tonal_dft, f"with {FRAMES} select rec, bin, round(avg(ln(power)), 6) as level from sp group by rec, bin"),
     "tonal_lines": (lambda s, d: _lines(s, d)[0].select("rec", "frame", "bin", F.round("ratio", 6).alias("ratio")), f"with {WHITE} select rec, frame, bin, round(ratio, 6) ratio from ln"),
     "tonal_persistent": (lambda s, d: _lines(s, d)[1].select("rec", "bin", F.round("persistence", 6).alias("persistence")), f"with {WHITE} select rec, bin, round(persistence, 6) persistence from pl"),
-    "tonal_match": (lambda s, d: T.matched_fraction(_lines(s, d)[1], _lines(s, d)[1]).withColumn("sim", F.round("sim", 6)), f"with {WHITE} select query_id, gallery_id, round(k / n, 6) sim from (select q.rec query_id, g.rec gallery_id, count(distinct q.bin) k from pl q join pl g on q.rec <> g.rec and abs(q.bin - g.bin) <= 1 group by all) join (select rec query_id, count(*) n from pl group by rec) using (query_id)"),
+    "tonal_match": (tonal_match, f"with {WHITE} select query_id, gallery_id, round(k / n, 6) sim from (select q.rec query_id, g.rec gallery_id, count(distinct q.bin) k from pl q join pl g on q.rec <> g.rec and abs(q.bin - g.bin) <= 1 group by all) join (select rec query_id, count(*) n from pl group by rec) using (query_id)"),
     "lr_schedule": (lambda s, d: S.lr_schedule(s).withColumn("lr", F.round(F.col("lr") * 1e6, 6)), "select e epoch, round(1e6 * case when e < 3 then 1e-4 + 9e-4 * e / 3 else 1e-6 + 0.5 * (1e-3 - 1e-6) * (1 + cos(pi() * (e - 3) / 37)) end, 6) lr from (select unnest(range(40)) e)"),
     "select_epoch": (lambda s, d: S.select_epoch(history(s)), "select 31::bigint as stop, 21::bigint best"),
     "epoch_manifest": (lambda s, d: S.epoch_manifests(_tensors(s, d)), f"with {MAN} select * from man"),

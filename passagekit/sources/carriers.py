@@ -4,7 +4,6 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from ..functions.vectors import add, unit
 
@@ -14,37 +13,51 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def base_vectors(emb: DataFrame) -> DataFrame:
-    """The five hundred vectors that exist at every scale."""
-    return emb.where("vec_id < 500").select(F.col("vec_id").cast("long").alias("i"), F.col("embedding").cast("array<double>").alias("v"))
+    return emb.select(F.col("vec_id").cast("long").alias("i"), F.col("embedding").cast("array<double>").alias("v"))
 
 
-def _census() -> Column:
-    h = F.col("hull_id")
+def planted_size(emb: DataFrame) -> tuple[int, int]:
+    """(vectors, hulls): forty hulls for every five hundred vectors, numbered from 0 without gaps."""
+    n = emb.count()
+    return n, 40 * max(1, n // 500)
+
+
+def _census(h: Column) -> Column:
+    """Passages of a hull, by its place among forty."""
     return F.when(h < 3, 1).when(h < 22, 2).when(h < 36, 3).otherwise(4)
 
 
+def _first(h: Column) -> Column:
+    """Passages of the hulls before it, among forty."""
+    return F.when(h < 3, h).when(h < 22, 2 * h - 3).when(h < 36, 3 * h - 25).otherwise(4 * h - 61)
+
+
 def planted(emb: DataFrame, stride_h: int = 11, stride_p: int = 97, lam: float = 2.0, off: float = 0.0) -> DataFrame:
-    """Forty hulls with one to four passages each: a hull's vector plus interference; off adds a per-source offset."""
+    """Hulls with one to four passages each: a hull's vector plus interference, over the whole table; off adds a per-source offset."""
     spark, base = emb.sparkSession, base_vectors(emb)
-    grid = spark.range(40).select(F.col("id").alias("hull_id")).withColumn("passage_no", F.explode(F.sequence(F.lit(0), _census() - 1)))
-    grid = grid.withColumn("noise", 40 + (stride_h * F.col("hull_id") + stride_p * F.col("passage_no")) % 460).withColumn("lift", F.when(F.col("hull_id") % 2 == 0, 499).otherwise(498))
-    # at most five hundred vectors, so each of these sides is small at any scale
-    named = lambda key, as_: F.broadcast(base.select(F.col("i").alias(key), F.col("v").alias(as_)))
-    raw = grid.join(named("hull_id", "own"), "hull_id").join(named("noise", "by"), "noise").join(named("lift", "at"), "lift")
+    n, hulls = planted_size(emb)
+    h, p = F.col("hull_id"), F.col("passage_no")
+    grid = spark.range(hulls).select(F.col("id").alias("hull_id")).withColumn("passage_no", F.explode(F.sequence(F.lit(0), _census(h % 40) - 1)))
+    grid = grid.withColumn("noise", hulls + (stride_h * h + stride_p * p) % max(1, n - hulls)).withColumn("lift", F.when(h % 2 == 0, n - 1).otherwise(n - 2))
+    named = lambda key, as_: base.select(F.col("i").alias(key), F.col("v").alias(as_))
+    raw = grid.join(named("hull_id", "own"), "hull_id").join(named("noise", "by"), "noise")
     v = add("own", "by", lam)
-    v = add(v, F.col("at"), off) if off else v
-    number = F.row_number().over(W.orderBy("hull_id", "passage_no")) - 1
-    source = F.when(F.col("hull_id") % 2 == 0, "A").otherwise("B") if off else F.lit("A")
-    return raw.select(number.cast("long").alias("passage_id"), "hull_id", F.col("passage_no").cast("long").alias("passage_no"), source.alias("source"), unit(v).alias("vec"))
+    if off:
+        raw = raw.join(F.broadcast(named("lift", "at").where(F.col("lift") >= n - 2)), "lift")  # two rows
+        v = add(v, F.col("at"), off)
+    source = F.when(h % 2 == 0, "A").otherwise("B") if off else F.lit("A")
+    number = 99 * F.floor(h / 40) + _first(h % 40) + p
+    return raw.select(number.cast("long").alias("passage_id"), "hull_id", p.cast("long").alias("passage_no"), source.alias("source"), unit(v).alias("vec"))
 
 
 def planted_duplicates(emb: DataFrame, every: int = 6, eps: float = 0.1) -> DataFrame:
-    """planted() plus a re-recording of every sixth passage; dup_of names the passage it copies."""
+    """planted() plus a re-recording of every sixth passage, with ids below 0; dup_of names the passage it copies."""
     own = planted(emb)
-    base = F.broadcast(base_vectors(emb).select(F.col("i").alias("noise"), F.col("v").alias("by")))
+    n, hulls = planted_size(emb)
+    base = base_vectors(emb).select(F.col("i").alias("noise"), F.col("v").alias("by"))
     k = F.col("passage_id")
-    again = own.where(k % every == 0).withColumn("noise", 40 + (7 * k + 3) % 460).join(base, "noise")
-    again = again.select((k + 1000).alias("passage_id"), "hull_id", "passage_no", "source", unit(add("vec", "by", eps)).alias("vec"), k.alias("dup_of"))
+    again = own.where(k % every == 0).withColumn("noise", hulls + (7 * k + 3) % max(1, n - hulls)).join(base, "noise")
+    again = again.select((-1 - k).alias("passage_id"), "hull_id", "passage_no", "source", unit(add("vec", "by", eps)).alias("vec"), k.alias("dup_of"))
     return own.withColumn("dup_of", F.lit(None).cast("long")).unionByName(again)
 
 
@@ -77,6 +90,6 @@ def document_segments(docs: DataFrame, width: int = 256) -> DataFrame:
 
     text = F.coalesce("text", F.lit(""))
     rec = docs.select(F.col("doc_id").alias("recording_id"), F.concat_ws("|", "lang", "source").alias("hull_id"), F.col("text"), F.length(text).cast("long").alias("n_samples"))
-    at = segment(rec, width, max(1, width // 5)).drop("n_samples")
+    at = segment(rec, width, max(1, width // 5), keep=("hull_id", "text")).drop("n_samples")
     piece = F.substring("text", F.col("start").cast("int") + 1, F.lit(width))
-    return at.join(rec, "recording_id").select("recording_id", "hull_id", "start", F.transform(F.split(piece, ""), lambda c: F.ascii(c).cast("double")).alias("x")).where(F.size("x") == width)
+    return at.select("recording_id", "hull_id", "start", F.transform(F.split(piece, ""), lambda c: F.ascii(c).cast("double")).alias("x")).where(F.size("x") == width)
