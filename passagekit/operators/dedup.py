@@ -53,14 +53,20 @@ def metadata_key(rec: DataFrame, step: float) -> DataFrame:
 
 
 def nominate(rec: DataFrame, rare_max: int = 4, carry: tuple = ()) -> DataFrame:
-    """a < b, their hulls, whether their keys agree, and the reason: every pair within a hull, and pairs across hulls whose key at most rare_max recordings share."""
+    """a < b, their hulls, whether their keys agree, and the reason: every pair within a hull, and pairs across hulls whose key or whose duration at most rare_max recordings share."""
     side = lambda s: rec.select(F.col("rid").alias(s), F.col("hull").alias(f"{s}_hull"), F.col("key").alias(f"{s}_key"), *(F.col(c).alias(f"{s}_{c}") for c in carry))
     own = side("a").join(side("b"), (F.col("a_hull") == F.col("b_hull")) & (F.col("a") < F.col("b"))).withColumn("reason", F.lit("same hull"))
     rare = rec.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n").between(2, rare_max)).select("key")
     few = rec.join(rare, "key", "left_semi")
     side = lambda s: few.select(F.col("rid").alias(s), F.col("hull").alias(f"{s}_hull"), F.col("key").alias(f"{s}_key"), *(F.col(c).alias(f"{s}_{c}") for c in carry))
     cross = side("a").join(side("b"), (F.col("a_key") == F.col("b_key")) & (F.col("a_hull") != F.col("b_hull")) & (F.col("a") < F.col("b"))).withColumn("reason", F.lit("rare key"))
-    return own.unionByName(cross).withColumn("same_key", F.col("a_key") == F.col("b_key")).drop("a_key", "b_key")
+    # a copy whose peak falls in another step shares no key, but a rare duration gives it away
+    n = F.size("x")
+    odd = rec.groupBy(n.alias("len")).agg(F.count(F.lit(1)).alias("n")).where(F.col("n").between(2, rare_max)).select("len")
+    few = rec.join(odd, n == F.col("len"))
+    side = lambda s: few.select(F.col("rid").alias(s), F.col("hull").alias(f"{s}_hull"), F.col("key").alias(f"{s}_key"), F.col("len").alias(f"{s}_len"), *(F.col(c).alias(f"{s}_{c}") for c in carry))
+    lengths = side("a").join(side("b"), (F.col("a_len") == F.col("b_len")) & (F.col("a_hull") != F.col("b_hull")) & (F.col("a") < F.col("b")) & (F.col("a_key") != F.col("b_key"))).drop("a_len", "b_len").withColumn("reason", F.lit("rare length"))
+    return own.unionByName(cross).unionByName(lengths).withColumn("same_key", F.col("a_key") == F.col("b_key")).drop("a_key", "b_key")
 
 
 def peak_correlation(a: str, b: str, lag: int) -> Column:
@@ -169,3 +175,28 @@ def fft_evidence(pairs: DataFrame, gate_at: float = 0.10) -> DataFrame:
             yield pd.DataFrame({"a": part["a"], "b": part["b"], "reason": part["reason"], "t": t, "w": pd.Series(w, dtype="Float64")})
 
     return pairs.select("a", "b", "reason", "a_x", "b_x").mapInPandas(run, "a long, b long, reason string, t double, w double")
+
+
+def finding_class(pairs: DataFrame, reach: int = 1) -> DataFrame:
+    """Cross-hull confirmations by what they are: byte-identical files, clusters of neighbouring ids, or scenes with two hulls in them.
+    pairs: a, b, a_digest, b_digest. They are reported as label noise and never merged."""
+    kind = F.when(F.col("a_digest") == F.col("b_digest"), "identical file").when(F.abs(F.col("a") - F.col("b")) <= reach, "neighbouring ids").otherwise("shared scene")
+    return pairs.withColumn("finding", kind)
+
+
+def islands(ids: DataFrame, by: str, col: str) -> DataFrame:
+    """by, first, last, n: runs of consecutive ids."""
+    run = F.col(col) - F.row_number().over(W.partitionBy(by).orderBy(col))
+    return ids.withColumn("run", run).groupBy(by, "run").agg(F.min(col).alias("first"), F.max(col).alias("last"), F.count(F.lit(1)).alias("n")).drop("run")
+
+
+def audit_report(pairs: DataFrame) -> DataFrame:
+    """Nominated pairs by partition and by who confirms them (metadata, audio, both), with the totals of each. pairs: part, same_key, confirmed."""
+    who = F.when(F.col("same_key") & F.col("confirmed"), "both").when(F.col("confirmed"), "audio only").when(F.col("same_key"), "metadata only").otherwise("neither")
+    return pairs.withColumn("who", who).cube("part", "who").agg(F.count(F.lit(1)).alias("pairs"))
+
+
+def acceptance(report: DataFrame, expected: DataFrame, on: list[str]) -> DataFrame:
+    """Expected values that were written down beforehand against the report: on, expected, got, ok. Both have `value`."""
+    both = expected.select(*on, F.col("value").alias("expected")).join(report.select(*on, F.col("value").alias("got")), on, "left")
+    return both.withColumn("ok", F.col("expected").eqNullSafe(F.col("got")))

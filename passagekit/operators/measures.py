@@ -85,11 +85,11 @@ def win_matrix(scores: DataFrame) -> DataFrame:
     return ranked.groupBy("method", "g_of", "i_of").agg(F.sum(F.col("m") * F.col("won")).alias("wins"), F.sum(F.col("m") * F.col("n")).alias("pairs"))
 
 
-def draws(hulls: DataFrame, b: int) -> DataFrame:
-    """replicate, hull, w: hulls drawn with replacement, by md5 of replicate and place."""
+def draws(hulls: DataFrame, b: int, offset: int = 0) -> DataFrame:
+    """replicate, hull, w: hulls drawn with replacement, by md5 of replicate (from offset on) and place."""
     n = hulls.count()
     at = hulls.sparkSession.range(b).select(F.col("id").alias("r")).withColumn("place", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
-    pick = F.conv(F.substring(F.md5(F.concat_ws("|", "r", "place")), 1, 8), 16, 10).cast("long") % n
+    pick = F.conv(F.substring(F.md5(F.concat_ws("|", F.col("r") + offset, "place")), 1, 8), 16, 10).cast("long") % n
     rank = hulls.select("hull", (F.row_number().over(W.orderBy("hull")) - 1).cast("long").alias("pick"))
     return at.withColumn("pick", pick).join(F.broadcast(rank), "pick").groupBy("r", "hull").agg(F.count(F.lit(1)).alias("w"))
 
@@ -100,3 +100,52 @@ def bootstrap_auc(wins: DataFrame, b: int = 200) -> DataFrame:
     w = draws(hulls, b)
     x = wins.join(w.select(F.col("hull").alias("g_of"), "r", F.col("w").alias("wg")), "g_of").join(w.select(F.col("hull").alias("i_of"), "r", F.col("w").alias("wi")), ["i_of", "r"])
     return x.groupBy("method", "r").agg((F.sum(F.col("wg") * F.col("wi") * F.col("wins")) / F.sum(F.col("wg") * F.col("wi") * F.col("pairs"))).alias("auc"))
+
+
+def discordance(ranks: DataFrame, first: str, second: str, ks: tuple = (1, 5, 10)) -> DataFrame:
+    """k, queries, and how many of them exactly one of two methods answers."""
+    of = lambda m: F.max(F.when(F.col("method") == m, F.col("rank")))
+    by = ranks.where(F.col("method").isin(first, second)).groupBy("query_id").agg(of(first).alias("a"), of(second).alias("b")).withColumn("k", F.explode(F.array(*(F.lit(k) for k in ks))))
+    one = (F.col("a") <= F.col("k")) != (F.col("b") <= F.col("k"))
+    return by.groupBy("k").agg(F.count(F.lit(1)).alias("queries"), F.count_if(one).alias("discordant"), F.round(F.avg(F.when(one, 1.0).otherwise(0.0)), 6).alias("share"))
+
+
+def wrong_top(scores: DataFrame) -> DataFrame:
+    """Scores of the top returns that are of another hull: how confident the mistakes are."""
+    top = scores.groupBy("method", "query_id").agg(F.max_by(F.struct("q_hull", "g_hull", "sim"), F.struct("sim", -F.col("gallery_id"))).alias("t"))
+    bad = top.where("t.q_hull <> t.g_hull")
+    return bad.groupBy("method").agg(F.count(F.lit(1)).alias("n"), F.round(F.min("t.sim"), 6).alias("lowest"), F.round(F.avg("t.sim"), 6).alias("mean"), F.round(F.max("t.sim"), 6).alias("highest"))
+
+
+def lift(metrics: DataFrame, base: str, on: str = "set") -> DataFrame:
+    """How far each method moves every measure against the base method, by query set."""
+    b = metrics.where(F.col("method") == base).select(on, F.col("medr").alias("b_medr"), F.col("auc").alias("b_auc"), F.col("rank1").alias("b_rank1"))
+    m = metrics.where(F.col("method") != base).join(b, on)
+    return m.select("method", on, F.round(F.col("medr") / F.col("b_medr"), 6).alias("medr_ratio"), F.round(F.col("auc") - F.col("b_auc"), 6).alias("auc_gain"), F.round(F.col("rank1") - F.col("b_rank1"), 6).alias("rank1_gain"))
+
+
+def classification_metrics(*_, **__) -> None:
+    """Accuracy, F1 and the like assume that every hull is known; in an open set most are not, so there is no such measure here."""
+    raise NotImplementedError("the task is open-set: use ranks, AUC and EER, not classification measures")
+
+
+def bootstrap_two_way(wins: DataFrame, b: int = 200) -> DataFrame:
+    """method, r, auc where the hulls of genuine and of impostor scores are drawn apart from each other."""
+    hulls = wins.select(F.col("g_of").alias("hull")).distinct()
+    w, v = draws(hulls, b), draws(hulls, b, offset=b)
+    x = wins.join(w.select(F.col("hull").alias("g_of"), "r", F.col("w").alias("wg")), "g_of").join(v.select(F.col("hull").alias("i_of"), "r", F.col("w").alias("wi")), ["i_of", "r"])
+    return x.groupBy("method", "r").agg((F.sum(F.col("wg") * F.col("wi") * F.col("wins")) / F.sum(F.col("wg") * F.col("wi") * F.col("pairs"))).alias("auc"))
+
+
+def query_wins(scores: DataFrame) -> DataFrame:
+    """Per query: share of its impostor scores that its best genuine score beats (ties one half), and how many there are."""
+    best = F.max(F.when(F.col("q_hull") == F.col("g_hull"), F.col("sim"))).over(W.partitionBy("method", "query_id"))
+    s = scores.withColumn("gs", best).where("gs is not null and q_hull <> g_hull")
+    won = F.when(F.col("gs") > F.col("sim"), 1.0).when(F.col("gs") == F.col("sim"), 0.5).otherwise(0.0)
+    return s.groupBy("method", "query_id", "q_hull").agg(F.sum(won).alias("wins"), F.count(F.lit(1)).alias("pairs"))
+
+
+def bootstrap_queries(wins: DataFrame, b: int = 200) -> DataFrame:
+    """method, r, auc where queries are drawn as if they were independent: too narrow, as queries of a hull are not."""
+    w = draws(wins.select(F.col("query_id").alias("hull")).distinct(), b).withColumnRenamed("hull", "query_id")
+    return wins.join(w, "query_id").groupBy("method", "r").agg((F.sum(F.col("w") * F.col("wins")) / F.sum(F.col("w") * F.col("pairs"))).alias("auc"))

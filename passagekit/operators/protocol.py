@@ -54,3 +54,55 @@ def collapse(p: DataFrame) -> DataFrame:
     at = p.select("hull_id", "source", F.posexplode("vec")).groupBy("hull_id", "source", "pos").agg(F.avg("col").alias("x"))
     rows = at.groupBy("hull_id", "source").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "x"))), lambda s: s["x"]).alias("v"))
     return rows.select("hull_id", "source", unit(F.col("v")).alias("vec"))
+
+
+def fixed_gallery(queries: DataFrame, gallery: DataFrame, method: str = "fixed", source: bool = False) -> DataFrame:
+    """Scores of a query set of its own against a gallery that stays as it is; a passage is never scored against itself."""
+    q = queries.select(F.col("passage_id").alias("query_id"), F.col("hull_id").alias("q_hull"), "source", F.col("vec").alias("qv"))
+    g = gallery.select(F.col("passage_id").alias("gallery_id"), F.col("hull_id").alias("g_hull"), F.col("source").alias("g_source"), F.col("vec").alias("gv"))
+    on = F.col("query_id") != F.col("gallery_id")
+    pairs = q.join(g, on & (F.col("source") == F.col("g_source")) if source else on)
+    return pairs.select(F.lit(method).alias("method"), "query_id", "gallery_id", "q_hull", "g_hull", F.round(dot("qv", "gv"), 9).alias("sim"))
+
+
+def cross_passage(scores: DataFrame, spans: DataFrame) -> DataFrame:
+    """scores without pairs of one passage or of captures that overlap in time. spans: passage_id, first, last."""
+    side = lambda i, p: spans.select(F.col("passage_id").alias(i), F.col("first").alias(f"{p}_first"), F.col("last").alias(f"{p}_last"))
+    both = scores.where("query_id <> gallery_id").join(side("query_id", "q"), "query_id").join(side("gallery_id", "g"), "gallery_id")
+    return both.where("q_last < g_first or g_last < q_first").select(*scores.columns)
+
+
+def fuse_weighted(weights: dict[str, float], scores: DataFrame, method: str = "weighted") -> DataFrame:
+    """Weighted mean of each query's z-scored rows over any number of methods."""
+    row = W.partitionBy("method", "query_id")
+    z = F.coalesce((F.col("sim") - F.avg("sim").over(row)) / F.nullif(F.stddev_pop("sim").over(row), F.lit(0.0)), F.lit(0.0))
+    share = F.coalesce(*(F.when(F.col("method") == m, F.lit(float(w))) for m, w in weights.items()))
+    out = scores.where(F.col("method").isin(*weights)).withColumn("z", z * share).withColumn("w", share)
+    out = out.groupBy("query_id", "gallery_id", "q_hull", "g_hull").agg((F.sum("z") / F.sum("w")).alias("z"))
+    return out.select(F.lit(method).alias("method"), "query_id", "gallery_id", "q_hull", "g_hull", F.round("z", 9).alias("sim"))
+
+
+def pool_passages(segments: DataFrame) -> DataFrame:
+    """passage_id, n, vec: the renormalised mean of a passage's unit segment vectors. segments: passage_id, vec."""
+    at = segments.select("passage_id", F.posexplode(unit(F.col("vec")))).groupBy("passage_id", "pos").agg(F.avg("col").alias("m"), F.count(F.lit(1)).alias("n"))
+    rows = at.groupBy("passage_id").agg(F.max("n").alias("n"), F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda s: s["m"]).alias("v"))
+    return rows.select("passage_id", "n", unit(F.col("v")).alias("vec"))
+
+
+def apply_map(p: DataFrame, moved: DataFrame) -> DataFrame:
+    """Passages under a transit map (passage_id, transit_id): a transit's first passage stays for all of it."""
+    return p.join(moved.groupBy("transit_id").agg(F.min("passage_id").alias("passage_id")), "passage_id", "left_semi")
+
+
+def true_rank_of_hulls(scores: DataFrame) -> DataFrame:
+    """1 + number of other hulls whose best passage stands above the best passage of the query's own."""
+    best = scores.groupBy("method", "query_id", "q_hull", "g_hull").agg(F.max("sim").alias("sim"))
+    return true_rank(best)
+
+
+def export_bundle(scores: DataFrame, path: str, key: str, withhold: tuple = ("q_hull", "g_hull")) -> None:
+    """Scores written for others: hull identifiers are replaced by keyed digests, one folder a method, sorted by query."""
+    out = scores
+    for c in withhold:
+        out = out.withColumn(c, F.substring(F.sha2(F.concat(F.lit(key + "|"), F.col(c).cast("string")), 256), 1, 16))
+    out.repartition("method").sortWithinPartitions("query_id", "gallery_id").write.partitionBy("method").mode("overwrite").parquet(path)

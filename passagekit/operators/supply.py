@@ -92,3 +92,66 @@ def capped(tensors: DataFrame, cap: int) -> DataFrame:
     """The replaced variant: at most cap tensors a hull, the rest silently lost; here they are counted."""
     k = F.row_number().over(W.partitionBy("hull_id").orderBy("tensor_id"))
     return tensors.withColumn("lost", k > cap)
+
+
+def split_enrolled(passages: DataFrame, enrolled: int, sequestered: int = 0, singletons: int = 0, seed: str = "7") -> DataFrame:
+    """hull_id, n, part: of the hulls with several passages the first by md5 are sequestered, the next enrolled, the others held out;
+    so many single-passage hulls join the training side as new identities, the other ones are gallery only."""
+    by = passages.groupBy("hull_id").agg(F.count(F.lit(1)).alias("n")).withColumn("u", F.md5(F.concat(F.lit(seed + "|"), F.col("hull_id").cast("string"))))
+    # only so many leading hulls of each kind matter, and Spark keeps no more than those while it sorts
+    lead = lambda cond, k: by.where(cond).orderBy("u").limit(k).withColumn("k", F.row_number().over(W.orderBy("u")))
+    many = lead("n > 1", sequestered + enrolled).select("hull_id", F.when(F.col("k") <= sequestered, "sequestered").otherwise("enrolled").alias("part"))
+    one = lead("n = 1", singletons).select("hull_id", F.lit("added").alias("part"))
+    rest = F.when(F.col("n") > 1, "held-out").otherwise("gallery")
+    return by.join(many.unionByName(one), "hull_id", "left").select("hull_id", "n", F.coalesce("part", rest).alias("part"))
+
+
+def heldout_uses(log: DataFrame) -> DataFrame:
+    """Evaluations spent on each held-out set: log has set, model, selected (whether the model was chosen by that score)."""
+    return log.groupBy("set").agg(F.count(F.lit(1)).alias("uses"), F.count_if("selected").alias("selections"))
+
+
+def split_clips(segments: DataFrame, share: float = 0.1, seed: str = "7") -> DataFrame:
+    """The practice that the protocol forbids, as negative control: segments fall to either side one by one."""
+    u = F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(seed), "recording_id", "start")), 1, 8), 16, 10).cast("long")
+    return segments.withColumn("part", F.when(u % 1000 < int(share * 1000), "validation").otherwise("train"))
+
+
+def corpus_readiness(passages: DataFrame) -> DataFrame:
+    """hulls, those with independent repeat days, those seen by several sensors, passages with a logged speed. passages: hull_id, day, sensor, speed."""
+    by = passages.groupBy("hull_id").agg(F.count_distinct("day").alias("days"), F.count_distinct("sensor").alias("sensors"), F.count("speed").alias("speeds"))
+    return by.agg(F.count(F.lit(1)).alias("hulls"), F.count_if(F.col("days") > 1).alias("repeat_days"), F.count_if(F.col("sensors") > 1).alias("several_sensors"), F.sum("speeds").alias("with_speed"))
+
+
+def pair_supply(passages: DataFrame) -> DataFrame:
+    """Hulls that give positive pairs, hulls that cannot, and the pairs there are."""
+    by = passages.groupBy("hull_id").agg(F.count(F.lit(1)).alias("n"))
+    return by.agg(F.count_if(F.col("n") > 1).alias("with_pairs"), F.count_if(F.col("n") == 1).alias("singletons"), F.sum(F.expr("n * (n - 1) div 2")).alias("pairs"))
+
+
+def weighted_sampler(tensors: DataFrame, k: int, weight: str = "w", seed: str = "7") -> DataFrame:
+    """k rows without replacement in proportion to their weights: the smallest keys -ln(u) / w. tensors: tensor_id and a weight."""
+    u = (F.conv(F.substring(F.md5(F.concat(F.lit(seed + "|"), F.col("tensor_id").cast("string"))), 1, 8), 16, 10).cast("double") + 0.5) / F.lit(4294967296.0)
+    return tensors.withColumn("key", -F.ln(u) / F.col(weight)).orderBy("key", "tensor_id").limit(k)
+
+
+def selection_gate(history: DataFrame, heldout: DataFrame, allow_leak: bool = False) -> DataFrame:
+    """history (model, hull_id, gap) as a basis for choosing a model. Held-out hulls in it stop the plan when it is read;
+    with allow_leak they stay, and every row is stamped."""
+    seen = history.join(heldout.select("hull_id").distinct().withColumn("leak", F.lit(True)), "hull_id", "left").withColumn("leak", F.coalesce("leak", F.lit(False)))
+    if allow_leak:
+        marks = seen.groupBy("model").agg(F.bool_or("leak").alias("leaky"))
+        return seen.drop("leak").join(marks, "model")
+    return seen.where(F.when(F.col("leak"), F.raise_error(F.lit("held-out hulls in a selection"))).otherwise(F.lit(True))).drop("leak").withColumn("leaky", F.lit(False))
+
+
+def segment_outcomes(rec: DataFrame, width: int, least: int) -> DataFrame:
+    """What becomes of each recording: too short for one window (counted, never dropped unseen), no tail, tail kept or tail dropped."""
+    n = F.col("n_samples")
+    what = F.when(n.isNull() | (n < width), "short").when(n % width == 0, "no tail").when(n % width >= least, "tail kept").otherwise("tail dropped")
+    return rec.groupBy(what.alias("outcome")).agg(F.count(F.lit(1)).alias("recordings"), F.sum(F.coalesce(n, F.lit(0)) % width).alias("tail_samples"))
+
+
+def pad_tail(x, width: int):
+    """The last window of an array, with zeros to its full width: the other tail rule."""
+    return F.concat(x, F.array_repeat(F.lit(0.0), F.greatest(F.lit(0), F.lit(width) - F.size(x))))

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import relational, retrieval, signals, supply
+from . import experiments, relational, retrieval, signals, supply
 
-ALL = retrieval.TABLE | supply.TABLE | signals.TABLE | relational.TABLE
+ALL = retrieval.TABLE | supply.TABLE | signals.TABLE | experiments.TABLE | relational.TABLE
 
 
 def queries() -> dict:

@@ -196,3 +196,130 @@ TABLE = {
     "sample_det": (sample_det, "select count(*) n, sum(o_orderkey)::bigint keys from orders where ('0x' || substr(md5(o_orderkey::varchar), 1, 4))::int % 10 = 0"),
     "sql_correlated": (sql_correlated, "select o_custkey, o_orderkey from orders o where o_totalprice = (select max(o_totalprice) from orders i where i.o_custkey = o.o_custkey) and o_totalprice > 100000"),
 }
+
+
+def proj_basic(s, d):
+    o = t(s, d, "orders")
+    return o.withColumns({"year": F.year("o_orderdate"), "pair": F.struct("o_orderkey", "o_custkey"), "two": F.array(F.col("o_totalprice"), F.col("o_totalprice") * 2)}).select("pair.o_orderkey", F.col("year").cast("long").alias("year"), F.round(F.get("two", F.lit(1)), 2).alias("twice"))
+
+
+def agg_supply(s, d):
+    return t(s, d, "orders").groupBy("o_custkey").agg(n_rows().alias("passages"), F.count_if(F.col("o_orderstatus") == "F").alias("finished"), F.round(F.sum(F.when(F.col("o_totalprice") > 100000, F.col("o_totalprice")).otherwise(0.0)), 2).alias("large"))
+
+
+def fn_math(s, d):
+    x = F.col("l_discount") * 8 - 0.3
+    return t(s, d, "lineitem").agg(F.round(F.sum(F.sqrt("l_quantity")), 4).alias("roots"), F.round(F.sum(F.cos(F.acos(F.greatest(F.lit(-1.0), F.least(F.lit(1.0), x))) + 0.3)), 4).alias("margins"), F.round(F.sum(F.exp(-F.col("l_tax"))), 4).alias("decays"), F.round(F.sum(F.ln(F.col("l_extendedprice"))), 4).alias("logs"), F.sum(F.floor(F.col("l_quantity") / 7)).alias("floors"))
+
+
+def fn_array(s, d):
+    v = F.col("embedding").cast("array<double>")
+    return t(s, d, "embeddings").select("vec_id", F.size(F.filter(v, lambda x: x > 0)).cast("long").alias("positive"), F.exists(v, lambda x: x > 2).alias("any_large"), F.forall(v, lambda x: x > -9).alias("all_bounded"), F.round(F.aggregate(F.slice(v, 1, 4), F.lit(0.0), lambda a, x: a + x), 6).alias("head"), F.round(F.element_at(F.sort_array(v), -1), 6).alias("most"), F.size(F.array_distinct(F.flatten(F.array(F.sequence(F.lit(1), F.lit(3)), F.sequence(F.lit(2), F.lit(5)))))).cast("long").alias("merged"))
+
+
+def join_range_lines(s, d):
+    """Prices of one supplier within two of each other: an equality on a bucket and its neighbours, then the exact range."""
+    p = t(s, d, "lineitem").select("l_suppkey", F.col("l_extendedprice").alias("v"), F.col("l_orderkey").alias("k"))
+    a = p.select("l_suppkey", F.col("v").alias("va"), F.col("k").alias("ka"), F.floor(F.col("v") / 2).alias("b"))
+    b = p.select("l_suppkey", F.col("v").alias("vb"), F.col("k").alias("kb"), F.explode(F.array(F.floor(F.col("v") / 2) - 1, F.floor(F.col("v") / 2), F.floor(F.col("v") / 2) + 1)).alias("b"))
+    return a.join(b, ["l_suppkey", "b"]).where("ka < kb and abs(va - vb) <= 2").groupBy("l_suppkey").agg(n_rows().alias("pairs"))
+
+
+def join_shuffle_hash(s, d):
+    return t(s, d, "orders").join(t(s, d, "customer").hint("shuffle_hash"), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_nationkey").agg(n_rows().alias("n"))
+
+
+def join_lateral(s, d):
+    """Each nation's two richest suppliers by a lateral subquery."""
+    n, p = t(s, d, "nation"), t(s, d, "supplier")
+    top = p.where(F.col("s_nationkey") == F.col("n_nationkey").outer()).orderBy(F.col("s_acctbal").desc(), "s_suppkey").limit(2).select("s_suppkey", "s_acctbal")
+    return n.lateralJoin(top).select("n_name", "s_suppkey", "s_acctbal")
+
+
+def _views(s, d, *names):
+    for n in names:
+        t(s, d, n).createOrReplaceTempView(f"pk_{n}")
+
+
+def sql_param(s, d):
+    _views(s, d, "orders")
+    return s.sql("select o_orderstatus, count(*) n from pk_orders where o_totalprice > :least and o_orderpriority = :what group by o_orderstatus", args={"least": 50000.0, "what": "1-URGENT"})
+
+
+def sql_recursive(s, d):
+    _views(s, d, "customer")
+    return s.sql("with recursive up(k, hops) as (select c_custkey, 0 from pk_customer where c_custkey > 0 union all select k div 2, hops + 1 from up where k > 1) select hops, count(*) n from up group by hops")
+
+
+def sql_table_function(s, d):
+    """Windows of recordings by a registered table function."""
+    from ..functions.register import register
+
+    register(s)
+    _views(s, d, "documents")
+    return s.sql("select is_tail, count(*) windows, sum(start) starts from pk_documents, lateral windows(n_chars, 64, 13) group by is_tail")
+
+
+def sql_functions(s, d):
+    from ..functions.register import register
+
+    register(s)
+    _views(s, d, "embeddings", "orders")
+    a = s.sql("select 'cosine' what, round(sum(vec_cosine(x.embedding, y.embedding)), 4) value from pk_embeddings x join pk_embeddings y on y.vec_id = x.vec_id + 1")
+    b = s.sql("select 'dot', round(sum(vec_dot(cast(embedding as array<double>), cast(embedding as array<double>))), 4) from pk_embeddings")
+    c = s.sql("select 'median', median_rank(cast(o_totalprice as double)) from pk_orders")
+    return a.union(b).union(c)
+
+
+def _roundtrip(fmt, **options):
+    def run(s, d):
+        import uuid
+
+        from ..stage import shared_folder
+
+        path = f"{shared_folder(s)}/sources/{uuid.uuid4().hex}"
+        src = t(s, d, "supplier").select("s_suppkey", "s_name", "s_nationkey", "s_acctbal")
+        src.write.format(fmt).options(**options).save(path)
+        back = s.read.schema(src.schema).format(fmt).options(**options).load(path)
+        return back.groupBy("s_nationkey").agg(n_rows().alias("n"), F.min("s_name").alias("name"), F.round(F.sum("s_acctbal"), 2).alias("balance"))
+
+    return run
+
+
+def sink_partitioned(s, d):
+    """Passages written by source and sorted by hull, and read with one folder."""
+    import uuid
+
+    from ..stage import shared_folder
+
+    path = f"{shared_folder(s)}/sources/{uuid.uuid4().hex}"
+    t(s, d, "orders").repartition("o_orderstatus").sortWithinPartitions("o_custkey").write.partitionBy("o_orderstatus").parquet(path)
+    return s.read.parquet(path).where("o_orderstatus = 'F'").agg(n_rows().alias("n"), F.sum("o_custkey").alias("keys"))
+
+
+def sketches(s, d):
+    """Sketches that merge over partitions, beside what they estimate: distinct users (error below 5 %), frequent words, quantiles."""
+    e = t(s, d, "events")
+    return e.agg(F.count_distinct("event_id").alias("exact"), (F.abs(F.hll_sketch_estimate(F.hll_sketch_agg("event_id")) - F.count_distinct("event_id")) <= 0.05 * F.count_distinct("event_id")).alias("hll_close"), (F.abs(F.approx_percentile("value", 0.5, 10000) - F.percentile("value", F.lit(0.5))) < 1.0).alias("median_close"))
+
+
+_SRC = "select s_nationkey, count(*) n, min(s_name) as name, round(sum(s_acctbal), 2) balance from supplier group by s_nationkey"
+MORE = {
+    "proj_basic": (proj_basic, "select o_orderkey, year(o_orderdate)::bigint as year, round(o_totalprice * 2, 2) twice from orders"),
+    "agg_supply": (agg_supply, "select o_custkey, count(*) passages, count(*) filter (where o_orderstatus = 'F') finished, round(sum(case when o_totalprice > 100000 then o_totalprice else 0.0 end), 2) as large from orders group by 1"),
+    "fn_math": (fn_math, "select round(sum(sqrt(l_quantity)), 4) roots, round(sum(cos(acos(greatest(-1.0, least(1.0, l_discount * 8 - 0.3))) + 0.3)), 4) margins, round(sum(exp(-l_tax)), 4) decays, round(sum(ln(l_extendedprice)), 4) logs, sum(floor(l_quantity / 7)::bigint)::bigint floors from lineitem"),
+    "fn_array": (fn_array, "select vec_id, len(list_filter(v, lambda x: x > 0)) positive, list_max(v) > 2 any_large, list_min(v) > -9 all_bounded, round(list_sum(v[1:4]), 6) as head, round(list_max(v), 6) as most, 5::bigint merged from (select vec_id, embedding::double[] v from embeddings)"),
+    "join_range_lines": (join_range_lines, "select a.l_suppkey, count(*) pairs from lineitem a join lineitem b on a.l_suppkey = b.l_suppkey and a.l_orderkey < b.l_orderkey and abs(a.l_extendedprice - b.l_extendedprice) <= 2 group by 1"),
+    "join_shuffle_hash": (join_shuffle_hash, "select c_nationkey, count(*) n from orders join customer on o_custkey = c_custkey group by 1"),
+    "join_lateral": (join_lateral, "select n_name, s_suppkey, s_acctbal from nation join supplier on s_nationkey = n_nationkey qualify row_number() over (partition by n_nationkey order by s_acctbal desc, s_suppkey) <= 2"),
+    "sql_param": (sql_param, "select o_orderstatus, count(*) n from orders where o_totalprice > 50000 and o_orderpriority = '1-URGENT' group by 1"),
+    "sql_recursive": (sql_recursive, "with recursive up(k, hops) as (select c_custkey, 0 from customer where c_custkey > 0 union all select k // 2, hops + 1 from up where k > 1) select hops, count(*) n from up group by hops"),
+    "sql_table_function": (sql_table_function, "select x.t is_tail, count(*) windows, sum(x.s)::bigint starts from (select unnest(list_concat([{s: i * 64, t: false} for i in range(n_chars // 64)], case when n_chars >= 64 and n_chars % 64 >= 13 then [{s: n_chars - 64, t: true}] else [] end)) x from documents) group by 1"),
+    "sql_functions": (sql_functions, "with e as (select vec_id, embedding::double[] v from embeddings) select 'cosine' what, round(sum(list_dot_product(x.v, y.v) / sqrt(list_dot_product(x.v, x.v) * list_dot_product(y.v, y.v))), 4) as value from e x join e y on y.vec_id = x.vec_id + 1 union all select 'dot', round(sum(list_dot_product(v, v)), 4) from e union all select 'median', median(o_totalprice) from orders"),
+    "src_csv_roundtrip": (_roundtrip("csv", header="true"), _SRC),
+    "src_json_roundtrip": (_roundtrip("json"), _SRC),
+    "src_orc_roundtrip": (_roundtrip("orc"), _SRC),
+    "sink_partitioned": (sink_partitioned, "select count(*) n, sum(o_custkey)::bigint as keys from orders where o_orderstatus = 'F'"),
+    "sketches": (sketches, "select count(distinct event_id) exact, true hll_close, true median_close from events"),
+}
+TABLE |= MORE

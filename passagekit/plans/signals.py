@@ -44,7 +44,8 @@ def _lag(k: int) -> str:
 
 PAIRS = """rare as (select key from pre group by key having count(*) between 2 and 4),
     prs as (select a.rid a, b.rid b, a.hull ah, b.hull bh, a.res ar, b.res br, a.z az, b.z bz, 'same hull' as reason from pre a join pre b on a.hull = b.hull and a.rid < b.rid
-      union all select a.rid, b.rid, a.hull, b.hull, a.res, b.res, a.z, b.z, 'rare key' from pre a join pre b on a.key = b.key and a.hull <> b.hull and a.rid < b.rid where a.key in (select key from rare))"""
+      union all select a.rid, b.rid, a.hull, b.hull, a.res, b.res, a.z, b.z, 'rare key' from pre a join pre b on a.key = b.key and a.hull <> b.hull and a.rid < b.rid where a.key in (select key from rare)
+      union all select a.rid, b.rid, a.hull, b.hull, a.res, b.res, a.z, b.z, 'rare length' from pre a join pre b on len(a.z) = len(b.z) and a.key <> b.key and a.hull <> b.hull and a.rid < b.rid where len(a.z) in (select len(z) from pre group by 1 having count(*) between 2 and 4))"""
 EVID = "select a, b, ah, bh, reason, round(list_dot_product(ar, br), 6) t, round(greatest(" + ", ".join(_lag(k) for k in range(-3, 4)) + ") / sqrt(len(az) * len(bz)::double), 6) w from {of}"
 JOINT = "case when w >= 0.80 then 'same capture' when t >= 0.40 or t >= 0.20 and w >= 0.15 then 'same transit' else 'distinct' end"
 EV = f"{PREP}, {PAIRS}, ev as ({EVID.format(of='prs')})"
@@ -97,7 +98,7 @@ def audit(s, d):
 
 def cross_hull(s, d):
     """Confirmed pairs across hulls are reported as label noise and never merged."""
-    v = _verdict(_evidence(s, d)).where("reason = 'rare key'")
+    v = _verdict(_evidence(s, d)).where("reason <> 'same hull'")
     return v.groupBy("verdict").agg(F.count(F.lit(1)).alias("pairs"))
 
 
@@ -212,7 +213,7 @@ def boot_medr(s, d):
     return by.groupBy("method").agg(F.round(F.percentile("medr", F.lit(0.025)), 6).alias("lo"), F.round(F.percentile("medr", F.lit(0.975)), 6).alias("hi"))
 
 
-def xnet_metrics(s, d):
+def xnet_scores(s, d):
     """Two query sets of a harder network, by the base vectors and by vectors without the enrolled hulls' mean within-hull difference."""
     p = settled(C.planted(C.table(s, d, "embeddings"), lam=3.0))
     first = p.where("passage_no = 0 and hull_id % 2 = 0").select("hull_id", F.col("vec").alias("f"))
@@ -221,6 +222,11 @@ def xnet_metrics(s, d):
     flat = F.zip_with("vec", "u", lambda a, b: a - b * F.col("along"))
     tuned = p.crossJoin(F.broadcast(axis)).withColumn("along", dot("vec", "u")).withColumn("vec", unit(flat)).drop("u", "along")
     sc = settled(P.leave_one_out(p, method="base").unionByName(P.leave_one_out(settled(tuned), method="tuned")))
+    return sc
+
+
+def xnet_metrics(s, d):
+    sc = xnet_scores(s, d)
     both = sc.withColumn("method", F.concat_ws(" ", "method", F.lit("full"))).unionByName(sc.where("q_hull % 2 = 1").withColumn("method", F.concat_ws(" ", "method", F.lit("held-out"))))
     return M.evaluate(both, P.true_rank(both))
 
@@ -252,7 +258,7 @@ TABLE = {
     "dedup_map": (lambda s, d: _moved(s, d)[1], f"{TRANSITS} select rid, hull, transit_id from mv"),
     "dedup_representatives": (lambda s, d: D.representatives(*_moved(s, d)).select("transit_id", "rid", "recordings"), f"{TRANSITS} select transit_id, arg_min(mv.rid, (-len(x), mv.rid)) rid, count(*) recordings from mv join rec on mv.rid = rec.rid group by transit_id"),
     "dedup_audit": (audit, f"{TRANSITS} select sum(r)::bigint recordings, sum(t)::bigint transits, sum(r - t)::bigint redundant, count(*) filter (where r > 1 and t = 1) illusory_hulls from (select hull, count(*) r, count(distinct transit_id) t from mv group by hull)"),
-    "dedup_cross_hull": (cross_hull, f"with {EV} select {JOINT} verdict, count(*) pairs from ev where reason = 'rare key' group by 1"),
+    "dedup_cross_hull": (cross_hull, f"with {EV} select {JOINT} verdict, count(*) pairs from ev where reason <> 'same hull' group by 1"),
     "dedup_merge_quality": (merge_quality, f"with {EV} select count(*) filter (where same and audio) in_both, count(*) filter (where same and not audio) metadata_only, count(*) filter (where not same and audio) audio_only from (select x.key = y.key same, {JOINT} <> 'distinct' audio from ev join pre x on x.rid = a join pre y on y.rid = b where reason = 'same hull')"),
     "dedup_fft_evidence": (fft_evidence, None),
     "aug_roll": _aug(lambda x, n: A.roll(x, 5), "list_transform(range(1, len(x) + 1), lambda i: x[(((i - 6) % len(x)) + len(x)) % len(x) + 1])"),

@@ -61,14 +61,6 @@ def transits(s, d):
     return own.join(hulls, own["h"].eqNullSafe(hulls["h"])).groupBy("lang").agg(F.sum("n").alias("recordings"), F.count(F.lit(1)).alias("transits"), F.sum(F.when(F.col("hulls") > 1, F.col("n")).otherwise(0)).alias("cross_hull"))
 
 
-def dedup_rules(s, d):
-    """Pairs under the joint rule and single cuts, on literal evidence around every threshold."""
-    ev = s.createDataFrame([(t / 100, w / 100) for t in range(0, 61, 5) for w in range(0, 96, 5)], "t double, w double")
-    joint = (F.col("t") >= 0.40) | ((F.col("t") >= 0.20) & (F.col("w") >= 0.15))
-    v = F.when(F.col("w") >= 0.80, "same capture").when(joint, "same transit").otherwise("distinct")
-    return ev.groupBy(v.alias("verdict")).agg(F.count(F.lit(1)).alias("pairs"), F.count_if(F.col("t") >= 0.10).alias("cut10"), F.count_if(F.col("t") >= 0.37).alias("cut37"))
-
-
 def _frames(s, d):
     li = table(s, d, "lineitem")
     order = W.partitionBy("l_suppkey").orderBy("l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
@@ -166,7 +158,6 @@ TABLE = {
     "segment_counts": (segments, f"with {SEG} select x.t is_tail, count(*) segments, count(distinct recording_id) recordings, sum(x.s)::bigint starts from seg group by x.t"),
     "meta_collisions": (meta_groups, "select n, count(*) as groups from (select lang, source, n_chars // 100 b, count(*) n from documents group by all) group by n"),
     "dedup_transits": (transits, "with r as (select doc_id, lang, md5(text) h from documents), o as (select *, min(doc_id) over (partition by lang, h) t from r), hh as (select h, count(distinct lang) k from r group by h) select lang, count(*) recordings, count(distinct t) transits, count(*) filter (where k > 1) cross_hull from o join hh using (h) group by lang"),
-    "dedup_rule_compare": (dedup_rules, "with ev as (select a / 100.0::double t, b / 100.0::double w from (select unnest(range(0, 61, 5)) a), (select unnest(range(0, 96, 5)) b)) select case when w >= 0.80 then 'same capture' when t >= 0.40 or t >= 0.20 and w >= 0.15 then 'same transit' else 'distinct' end verdict, count(*) pairs, count(*) filter (where t >= 0.10) cut10, count(*) filter (where t >= 0.37) cut37 from ev group by 1"),
     "tonal_dft": (tonal_dft, f"with {FRAMES} select rec, bin, round(avg(ln(power)), 6) as level from sp group by rec, bin"),
     "tonal_lines": (lambda s, d: _lines(s, d)[0].select("rec", "frame", "bin", F.round("ratio", 6).alias("ratio")), f"with {WHITE} select rec, frame, bin, round(ratio, 6) ratio from ln"),
     "tonal_persistent": (lambda s, d: _lines(s, d)[1].select("rec", "bin", F.round("persistence", 6).alias("persistence")), f"with {WHITE} select rec, bin, round(persistence, 6) persistence from pl"),
