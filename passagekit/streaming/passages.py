@@ -87,3 +87,8 @@ def stream_hull_state(passages: DataFrame, lost_after_ms: int = 86_400_000, late
         yield pd.DataFrame({"hull_id": [key[0]], "n": [n], "mean": [[float(x) / n for x in total]], "state": ["seen"]})
 
     return passages.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).groupBy("hull_id").applyInPandasWithState(step, "hull_id long, n long, mean array<double>, state string", "n long, total array<double>, last long", "update", "EventTimeTimeout")
+
+
+def late_rows(query) -> int:
+    """Rows that a finished or running query has dropped because they came after the watermark."""
+    return sum(op.numRowsDroppedByWatermark for p in query.recentProgress for op in p.stateOperators)
