@@ -124,12 +124,12 @@ def _seg(s, d):
 
 
 def _summed(df, y):
-    """A checksum of each array that its order changes."""
-    return df.select("rid", F.round(F.aggregate(F.transform(y, lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, b: a + b), 6).alias("mark"))
+    """A checksum of each array that its order changes; the factor keeps sums of short decimals off the ties of rounding."""
+    return df.select("rid", F.round(F.aggregate(F.transform(y, lambda v, i: v * (i + 1)), F.lit(0.0), lambda a, b: a + b) * 1.4142135623, 4).alias("mark"))
 
 
 def _aug(make, sql):
-    return (lambda s, d: _summed(_seg(s, d), make(F.col("x"), F.col("nz"))), f"with {SEG}, y as (select rid, {sql} y from am) select rid, round(list_sum(list_transform(range(1, len(y) + 1), lambda i: y[i] * i)), 6) mark from y")
+    return (lambda s, d: _summed(_seg(s, d), make(F.col("x"), F.col("nz"))), f"with {SEG}, y as (select rid, {sql} y from am) select rid, round(list_sum(list_transform(range(1, len(y) + 1), lambda i: y[i] * i)) * 1.4142135623::double, 4) mark from y")
 
 
 def gain_inert(s, d):
