@@ -32,26 +32,30 @@ def roc(points: DataFrame) -> DataFrame:
     return by.join(bins, ["method", "bin"]).select("method", "sim", "g", "i", (F.col("ag") + F.sum("g").over(down)).alias("cg"), (F.col("ai") + F.sum("i").over(down)).alias("ci"), "tg", "ti")
 
 
-def auc(points: DataFrame) -> DataFrame:
-    """Chance that a genuine score beats an impostor score, ties one half."""
-    r = roc(points)
+def curve(points: DataFrame) -> DataFrame:
+    """method, auc, eer from one pass over the operating points.
+
+    auc: chance that a genuine score beats an impostor score, ties one half. eer: where false accepts equal false rejects,
+    linear between neighbouring thresholds; what stands above a score is the point before it.
+    """
+    far, frr = F.col("ci") / F.col("ti"), 1 - F.col("cg") / F.col("tg")
+    r = roc(points).withColumns({"far": far, "frr": frr, "far0": (F.col("ci") - F.col("i")) / F.col("ti"), "frr0": 1 - (F.col("cg") - F.col("g")) / F.col("tg")})
+    a, b = F.col("frr0") - F.col("far0"), F.col("far") - F.col("frr")
+    r = r.withColumn("at", F.col("far0") + (F.col("far") - F.col("far0")) * F.coalesce(a / F.nullif(a + b, F.lit(0.0)), F.lit(0.0)))
     won = F.sum(F.col("g") * ((F.col("ti") - F.col("ci")) + F.lit(0.5) * F.col("i")))
-    return r.groupBy("method").agg(F.round(won / F.max(F.col("tg").cast("double") * F.col("ti")), 6).alias("auc"))
+    return r.groupBy("method").agg(F.round(won / F.max(F.col("tg").cast("double") * F.col("ti")), 6).alias("auc"), F.expr("round(max_by(at, sim) filter (where far >= frr and far0 < frr0), 6)").alias("eer"))
+
+
+def auc(points: DataFrame) -> DataFrame:
+    return curve(points).select("method", "auc")
 
 
 def eer(points: DataFrame) -> DataFrame:
-    """Where false accepts equal false rejects, linear between neighbouring thresholds."""
-    # what stands above a score is the point before it
-    far, frr = F.col("ci") / F.col("ti"), 1 - F.col("cg") / F.col("tg")
-    r = roc(points).select("method", "sim", far.alias("far"), frr.alias("frr"), ((F.col("ci") - F.col("i")) / F.col("ti")).alias("far0"), (1 - (F.col("cg") - F.col("g")) / F.col("tg")).alias("frr0"))
-    a, b = F.col("frr0") - F.col("far0"), F.col("far") - F.col("frr")
-    at = F.col("far0") + (F.col("far") - F.col("far0")) * F.coalesce(a / F.nullif(a + b, F.lit(0.0)), F.lit(0.0))
-    return r.where("far >= frr and far0 < frr0").groupBy("method").agg(F.round(F.max_by(at, F.col("sim")), 6).alias("eer"))
+    return curve(points).select("method", "eer").where("eer is not null")
 
 
 def evaluate(scores: DataFrame, ranks: DataFrame) -> DataFrame:
-    pts = labelled(scores)
-    return rank_measures(ranks).join(auc(pts), "method").join(eer(pts), "method")
+    return rank_measures(ranks).join(curve(labelled(scores)).where("eer is not null"), "method")
 
 
 def mcnemar(ranks: DataFrame, ks: tuple = (1, 5, 10)) -> DataFrame:

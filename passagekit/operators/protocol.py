@@ -9,13 +9,25 @@ from pyspark.sql import Window as W
 from ..functions.vectors import dot, unit
 
 
+#: Shares of the queries that are joined apart, as all passages may be of one source.
+SHARES = 16
+
+
+def _dealt(q: DataFrame, g: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Queries in shares and the gallery once for each of them: an equality that no single source makes hot."""
+    parts = int(q.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    q = q.repartition(max(SHARES, min(parts, 256)), "query_id").withColumn("share", F.pmod(F.xxhash64("query_id"), F.lit(SHARES)).cast("int"))
+    return q, g.withColumn("g_share", F.explode(F.sequence(F.lit(0), F.lit(SHARES - 1))))
+
+
 def leave_one_out(p: DataFrame, pure: bool = True, keep_singletons: bool = True, method: str = "a") -> DataFrame:
     """Scores of every passage of a hull with several against all others; pure: of the same source only."""
     many = p.groupBy("hull_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("hull_id")
     pool = p if keep_singletons else p.join(many, "hull_id", "left_semi")
     q = p.join(many, "hull_id", "left_semi").select(F.col("passage_id").alias("query_id"), F.col("hull_id").alias("q_hull"), "source", F.col("vec").alias("qv"))
     g = pool.select(F.col("passage_id").alias("gallery_id"), F.col("hull_id").alias("g_hull"), F.col("source").alias("g_source"), F.col("vec").alias("gv"))
-    on = F.col("query_id") != F.col("gallery_id")
+    q, g = _dealt(q, g)
+    on = (F.col("share") == F.col("g_share")) & (F.col("query_id") != F.col("gallery_id"))
     pairs = q.join(g, on & (F.col("source") == F.col("g_source")) if pure else on)
     return pairs.select(F.lit(method).alias("method"), "query_id", "gallery_id", "q_hull", "g_hull", F.round(dot("qv", "gv"), 9).alias("sim"))
 
@@ -60,7 +72,8 @@ def fixed_gallery(queries: DataFrame, gallery: DataFrame, method: str = "fixed",
     """Scores of a query set of its own against a gallery that stays as it is; a passage is never scored against itself."""
     q = queries.select(F.col("passage_id").alias("query_id"), F.col("hull_id").alias("q_hull"), "source", F.col("vec").alias("qv"))
     g = gallery.select(F.col("passage_id").alias("gallery_id"), F.col("hull_id").alias("g_hull"), F.col("source").alias("g_source"), F.col("vec").alias("gv"))
-    on = F.col("query_id") != F.col("gallery_id")
+    q, g = _dealt(q, g)
+    on = (F.col("share") == F.col("g_share")) & (F.col("query_id") != F.col("gallery_id"))
     pairs = q.join(g, on & (F.col("source") == F.col("g_source")) if source else on)
     return pairs.select(F.lit(method).alias("method"), "query_id", "gallery_id", "q_hull", "g_hull", F.round(dot("qv", "gv"), 9).alias("sim"))
 

@@ -205,7 +205,8 @@ def _line_scores(s, d):
     many = p.groupBy("hull_id").agg(n_rows().alias("n")).where("n > 1").select("hull_id")
     q = p.join(many, "hull_id", "left_semi").select(F.col("passage_id").alias("query_id"), F.col("hull_id").alias("q_hull"), F.col("bits").alias("qb"))
     g = p.select(F.col("passage_id").alias("gallery_id"), F.col("hull_id").alias("g_hull"), F.col("bits").alias("gb"))
-    pairs = q.join(g, F.col("query_id") != F.col("gallery_id"))
+    q, g = P._dealt(q, g)
+    pairs = q.join(g, (F.col("share") == F.col("g_share")) & (F.col("query_id") != F.col("gallery_id")))
     one = F.round(T.fraction(F.col("qb"), F.col("gb")), 9)
     two = F.round(T.symmetric(F.col("qb"), F.col("gb")), 9)
     both = F.array(F.struct(F.lit("one side").alias("method"), one.alias("sim")), F.struct(F.lit("both sides").alias("method"), two.alias("sim")))
