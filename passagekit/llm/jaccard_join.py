@@ -4,12 +4,19 @@ Jaccard distance is a metric. Equal sets are one point. Points that can link at
 of a common order (the length of that prefix follows from the threshold); the points with a given shingle in their prefix
 form a patch, and the patch's point with the smallest key is its pivot. Patches are told apart
 by size, as sets of very different size cannot link. All patches with one pivot make up its region, so every link lies inside
-some region: that of the pivot of a shared shingle. A region is joined recursively and exactly: distances
-to a pivot are computed, what lies within the threshold is linked to it and forms one class, the triangle inequality
-leaves to be compared with that class only the boundary (distance at most twice the threshold) and, of the class, the window whose
-pivot distance differs by at most the threshold; the rest goes on with a new pivot. Before that, one-bit sketches (they differ in no more bits
-than the sets in shingles) drop what cannot link inside its region. Regions of more than `weight` shingles are
-cut into blocks, and each pair of blocks, with the pivot replicated into it, is one task's bounded job.
+some region: that of the pivot of a shared shingle. One-bit sketches (they differ in no more bits than the sets in shingles) drop what cannot
+link inside a small region.
+
+A wide region is cut by the executors together: a few of its points are pivots, every point goes to the Voronoi cell of the nearest one, and
+where it stands within twice the threshold of another pivot's claim, a copy goes to that cell too (two points that link and lie in different cells
+meet in the earlier one, by the triangle inequality). Points within the threshold of their pivot are linked to it and leave; of those that
+remain only the ones within twice the threshold of the pivot are held against them, in blocks; the remaining points and copies of a cell are
+a region of their own, until regions are small or no longer shrink.
+
+A region that fits one task is joined recursively and exactly: distances to a pivot are computed, what lies within the threshold is linked to it
+and forms one class, the triangle inequality leaves to be compared with that class only the boundary (distance at most twice the threshold) and, of
+the class, the window whose pivot distance differs by at most the threshold; the rest goes on with a new pivot. Regions of more than `weight`
+shingles are cut into blocks, and each pair of blocks, with the pivot replicated into it, is one task's bounded job.
 
 Any common order is exact; ours puts shingles of many documents last, so that a passage shared by very many documents does not
 make a region. They are found by counts within each task that are summed (at most `most_common` of them).
@@ -24,10 +31,13 @@ import math
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
-from .common import lower_words, materialise, slices
+from .common import discard, lower_words, materialise, slices
 
 WORDS, PERCENT, WEIGHT, MOST_COMMON = 4, 85, 2_000_000, 1 << 21
+#: Points from which a region is wide, pivots of a wide region, points of one task's share of it, rounds at most.
+SMALL, PIVOTS, SHARE, ROUNDS = 400, 4, 200, 6
 
 
 class _Hashes(dict):
@@ -246,13 +256,13 @@ def regions(rows: DataFrame, parts: int, percent: int) -> DataFrame:
     return dealt.mapInArrow(run, "pivot long, d long, n long").distinct()
 
 
-def thinned(member: DataFrame, own: DataFrame, parts: int, percent: int, small: int = 400) -> DataFrame:
-    """member without the sets that cannot link with any other of their region; regions over `small` stay as they are."""
+def thinned(member: DataFrame, own: DataFrame, parts: int, percent: int) -> DataFrame:
+    """member without the sets that cannot link with any other of their region; for regions that are not wide."""
 
     def run(it):
         import pyarrow as pa
 
-        key, rows, wide = None, [], False
+        key, rows = None, []
 
         def out(some):
             p, d, n = ([r[i] for r in some] for i in range(3))
@@ -261,18 +271,15 @@ def thinned(member: DataFrame, own: DataFrame, parts: int, percent: int, small:
         def flush():
             if not rows:
                 return []
-            ok = [True] * len(rows) if wide else may_link([r[2] for r in rows], [r[3] for r in rows], percent)
-            return [r for r, k in zip(rows, ok, strict=True) if k]
+            return [r for r, k in zip(rows, may_link([r[2] for r in rows], [r[3] for r in rows], percent), strict=True) if k]
 
         for batch in it:
             kept = []
             for r in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
                 if r[0] != key:
                     kept += flush()
-                    key, rows, wide = r[0], [], False
+                    key, rows = r[0], []
                 rows.append(r)
-                if len(rows) > small:
-                    kept, rows, wide = kept + rows, [], True
             if kept:
                 yield out(kept)
         if kept := flush():
@@ -283,6 +290,86 @@ def thinned(member: DataFrame, own: DataFrame, parts: int, percent: int, small:
     return dealt.select("pivot", "d", "n", "bits").mapInArrow(run, "pivot long, d long, n long")
 
 
+def voronoi(wide: DataFrame, arrays: DataFrame, percent: int, seed: int, pivots: int = PIVOTS, share: int = SHARE) -> DataFrame:
+    """One round over wide regions (region, d): cell, its pivot, d, dist to that pivot, whether they link, and what it is there: core, rest or copy.
+
+    Shares of a region are dealt over tasks with all its pivots; a set's row in its own cell comes with copies in the earlier cells
+    whose pivot is at most twice the threshold farther than its own.
+    """
+    keyed = wide.withColumn("h", F.xxhash64("d", F.lit(seed)))
+    first = keyed
+    for by in (["region", F.pmod("h", F.lit(64))], ["region"]):  # within shares of a region before within the region
+        first = first.withColumn("k", F.row_number().over(W.partitionBy(*by).orderBy("h", "d"))).where(F.col("k") <= pivots)
+    first = materialise(first.select("region", "d").join(arrays, "d"))
+    shares = keyed.groupBy("region").agg(F.count(F.lit(1)).alias("n")).select("region", F.ceil(F.col("n") / share).cast("int").alias("shares"))
+    rows = keyed.join(shares, "region").withColumn("share", F.pmod("h", F.col("shares")).cast("int")).select("region", "share", "d").join(arrays, "d")
+    every = first.join(shares, "region").select("region", F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("share"), F.lit(0).alias("kind"), "d", "x")
+    dealt = every.unionByName(rows.select("region", "share", F.lit(1).alias("kind"), "d", "x"))
+    parts = max(int(wide.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    eps = 1 - percent / 100
+
+    def run(it):
+        import numpy as np
+        import pyarrow as pa
+
+        key, heads, xs = None, [], []
+        for batch in slices(it):
+            out = []
+            for region, part, kind, d, x in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
+                if (region, part) != key:
+                    key, heads, xs = (region, part), [], []
+                x = np.frombuffer(x, dtype=np.uint64)
+                if kind == 0:
+                    heads.append(d)
+                    xs.append(x)
+                    continue
+                common = np.array([(p[np.minimum(np.searchsorted(p, x), len(p) - 1)] == x).sum() for p in xs])
+                union = np.array([len(p) for p in xs]) + len(x) - common
+                dist = 1 - common / union
+                own = int(np.argmin(dist))
+                hit = (100 * common >= percent * union).tolist()
+                out.append((region, own, heads[own], d, float(dist[own]), hit[own], "core" if hit[own] else "rest"))
+                # a link across cells is found in the earlier one
+                out += [(region, i, heads[i], d, float(dist[i]), hit[i], "copy") for i in range(own) if dist[i] <= dist[own] + 2 * eps + 1e-12]
+            if out:
+                cols = list(zip(*out, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.string()), strict=True)], names=["region", "i", "pivot", "d", "dist", "hit", "what"])
+
+    got = dealt.repartition(parts * 4, "region", "share").sortWithinPartitions("region", "share", "kind", "d").select("region", "share", "kind", "d", "x").mapInArrow(run, "region long, i int, pivot long, d long, dist double, hit boolean, what string")
+    return got.withColumn("cell", F.xxhash64("region", "i", F.lit(seed))).drop("region", "i")
+
+
+def cut_wide(wide: DataFrame, arrays: DataFrame, percent: int, small: int = SMALL, rounds: int = ROUNDS):
+    """(links, boundary cells as pivot, i, j, d, regions that are left as region, d) of wide regions."""
+    eps = 1 - percent / 100
+    links, cells, left = [], [], []
+    block = lambda n: F.pmod(F.xxhash64("d", F.lit(3)), F.greatest(F.lit(1), F.ceil(F.col(n) / SHARE))).cast("int")
+    for seed in range(rounds):
+        before = wide.count()
+        if not before:
+            return links, cells, left
+        got = materialise(voronoi(wide, arrays, percent, seed))
+        links.append(got.where("hit and d <> pivot").select(F.col("pivot").alias("a"), F.col("d").alias("b")))
+        # the boundary of a cell meets the points that were linked to its pivot, block by block
+        near = got.where((F.col("what") != "core") & (F.col("dist") <= 2 * eps + 1e-12)).select("cell", "pivot", "d")
+        core = got.where("what = 'core' and d <> pivot").select("cell", "pivot", "d")
+        sizes = near.groupBy("cell").agg(F.count(F.lit(1)).alias("nb")).join(core.groupBy("cell").agg(F.count(F.lit(1)).alias("nc")), "cell")
+        a = near.join(sizes, "cell").withColumn("i", block("nb")).withColumn("j", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(1), F.ceil(F.col("nc") / SHARE)).cast("int") - 1)))
+        b = core.join(sizes, "cell").withColumn("j", block("nc")).withColumn("i", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(1), F.ceil(F.col("nb") / SHARE)).cast("int") - 1)))
+        pair = materialise(a.select("cell", "pivot", "i", "j", "d").unionByName(b.select("cell", "pivot", "i", "j", "d")))
+        heads = pair.select("cell", "pivot", "i", "j").distinct().withColumn("d", F.col("pivot"))
+        cells.append(pair.unionByName(heads))
+        rest = got.where("what <> 'core'").select(F.col("cell").alias("region"), "d", "what").distinct()
+        sizes = rest.groupBy("region").agg(F.count(F.lit(1)).alias("k"), F.count_if(F.col("what") == "rest").alias("own")).where("own > 0 and k > 1")
+        rest = materialise(rest.join(sizes, "region").select("region", "d", "k"))
+        left.append(rest.where(F.col("k") <= small).select("region", "d"))
+        wide = rest.where(F.col("k") > small).select("region", "d")
+        if wide.count() > 0.9 * before:
+            break
+    left.append(wide)
+    return links, cells, left
+
+
 class Classes:
     """Union-find over positions."""
 
@@ -355,27 +442,46 @@ def join_region(points: list, percent: int) -> list[tuple[int, int]]:
     return edges
 
 
-def links(docs: DataFrame, own: DataFrame, text_col: str = "text", k: int = WORDS, percent: int = PERCENT, weight: int = WEIGHT, most_common: int = MOST_COMMON) -> DataFrame:
+def links(docs: DataFrame, own: DataFrame, text_col: str = "text", k: int = WORDS, percent: int = PERCENT, weight: int = WEIGHT, most_common: int = MOST_COMMON, small: int = SMALL) -> DataFrame:
     """a, b (digests): links that connect exactly the classes of linked sets. own: sets(docs)."""
+    import numpy as np
+
     spark = docs.sparkSession
     rows = materialise(prefixes(docs, text_col, k, percent, common_shingles(docs, text_col, k, most_common)))
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-rows.count() // 2_000_000))
-    member = materialise(thinned(regions(rows, parts, percent), own, parts, percent))
-    sizes = member.groupBy("pivot").agg(F.sum("n").alias("w")).withColumn("blocks", F.ceil(F.col("w") / F.lit(weight)).cast("int"))
+    every = materialise(regions(rows, parts, percent))
+    discard(rows)
+    many = every.groupBy("pivot").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > small).select("pivot")
+    wide = materialise(every.join(many, "pivot", "left_semi").select("pivot", "d"))
+    member = materialise(thinned(every.join(many, "pivot", "left_anti"), own, parts, percent))
+    discard(every)
     # sets in some region, as one bit of a sketch each: two megabytes whatever their number
     bit = F.shiftrightunsigned(F.xxhash64("d"), 40)
-    words = member.select(bit.alias("bit")).groupBy(F.expr("bit div 64").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(bit % 64 as int)))").alias("b")).toArrow()
-    import numpy as np
-
+    words = member.select("d").union(wide.select("d")).select(bit.alias("bit")).groupBy(F.expr("bit div 64").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(bit % 64 as int)))").alias("b")).toArrow()
     present = np.zeros(1 << 18, dtype=np.int64)
     present[words["w"].to_numpy()] = words["b"].to_numpy()
     arrays = _arrays(docs, text_col, k, present)
+    found, pieces = [], []
+    if not wide.isEmpty():
+        arrays = materialise(arrays)
+        found, boundary, left = cut_wide(wide.withColumnRenamed("pivot", "region"), arrays, percent, small)
+        sized = own.where("d is not null").select("d", "n").dropDuplicates(["d"])
+        for one in left:  # a region's first set is its pivot now
+            one = one.join(one.groupBy("region").agg(F.min("d").alias("pivot")), "region").join(sized, "d")
+            member = member.unionByName(one.select("pivot", "d", "n")).distinct()
+        pieces = [c.select("pivot", F.col("cell").alias("region"), "i", "j", "d") for c in boundary]
+    sizes = member.groupBy("pivot").agg(F.sum("n").alias("w")).withColumn("blocks", F.ceil(F.col("w") / F.lit(weight)).cast("int"))
     dealt = member.join(sizes, "pivot").withColumn("own", F.pmod(F.xxhash64("d"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     # the pivot goes to every pair of blocks, any other set to the pairs that hold its block
     pairs = F.when(F.col("d") == F.col("pivot"), F.transform(F.sequence(F.lit(0), F.col("other")), lambda i: F.struct(i.alias("i"), F.col("other").alias("j")))).otherwise(F.array(F.struct(F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))))
-    cells = dealt.withColumn("cell", F.explode(pairs)).select("pivot", "cell.i", "cell.j", "d")
-    full = cells.join(arrays, "d").repartition(parts, "pivot", "i", "j").sortWithinPartitions("pivot", "i", "j", "d")
-    return full.select("pivot", "i", "j", "d", "x").mapInArrow(_joiner(percent), "a long, b long")
+    cells = dealt.withColumn("cell", F.explode(pairs)).select("pivot", F.col("pivot").alias("region"), "cell.i", "cell.j", "d")
+    for one in pieces:
+        cells = cells.unionByName(one)
+    full = cells.join(arrays, "d").repartition(parts, "region", "pivot", "i", "j").sortWithinPartitions("region", "pivot", "i", "j", "d")
+    out = full.select("pivot", "region", "i", "j", "d", "x").mapInArrow(_joiner(percent), "a long, b long")
+    for one in found:
+        out = out.unionByName(one)
+    return out
 
 
 def _arrays(docs: DataFrame, text_col: str, k: int, present) -> DataFrame:
@@ -417,11 +523,11 @@ def _joiner(percent: int):
             return pa.RecordBatch.from_arrays([pa.array([ids[a] for a, _ in pairs], pa.int64()), pa.array([ids[b] for _, b in pairs], pa.int64())], names=["a", "b"]) if pairs else None
 
         for batch in slices(it):
-            for p, i, j, d, x in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
-                if (p, i, j) != key:
+            for p, region, i, j, d, x in zip(*(batch.column(c).to_pylist() for c in range(6)), strict=True):
+                if (p, region, i, j) != key:
                     if (got := done()) is not None:
                         yield got
-                    key, ids, xs = (p, i, j), [], []
+                    key, ids, xs = (p, region, i, j), [], []
                 if not ids or ids[-1] != d:
                     ids.append(d)
                     xs.append(x)
@@ -434,7 +540,7 @@ def _joiner(percent: int):
 def components(edges: DataFrame) -> DataFrame:
     """node, comp (smallest node reachable) for every node of edges a, b: labels spread and paths are halved until nothing moves."""
     both = materialise(edges.where("a <> b").select("a", "b").union(edges.where("a <> b").select(F.col("b"), F.col("a"))).distinct())
-    label = materialise(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("comp")))
+    label = old = materialise(both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("comp")))
     while True:
         near = both.join(label.select(F.col("node").alias("b"), "comp"), "b").groupBy(F.col("a").alias("node")).agg(F.min("comp").alias("m"))
         step = label.join(near, "node").select("node", F.col("comp").alias("was"), F.least("comp", "m").alias("to"))
@@ -442,8 +548,10 @@ def components(edges: DataFrame) -> DataFrame:
         jump = label.select(F.col("node").alias("to"), F.col("comp").alias("far"))
         now = materialise(step.join(jump, "to", "left").select("node", F.least("to", F.coalesce("far", "to")).alias("comp"), "was"))
         moved = now.where("comp <> was").limit(1).count()
-        label = now.select("node", "comp")
+        discard(old)
+        label, old = now.select("node", "comp"), now
         if not moved:
+            discard(both)
             return label
 
 

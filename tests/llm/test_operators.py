@@ -53,9 +53,9 @@ def brute_components(rows, k, percent):
     return {i: (len(sets[i]), find(i)) for i in sets}
 
 
-@pytest.mark.parametrize(("k", "percent", "weight"), [(4, 85, 2_000_000), (5, 80, 300)])
-def test_jaccard_join(spark, texts, k, percent, weight):
-    got = jaccard_join.join(frame(spark, texts), k=k, percent=percent, weight=weight).collect()
+@pytest.mark.parametrize(("k", "percent", "weight", "small"), [(4, 85, 2_000_000, 400), (5, 80, 300, 400), (4, 85, 2_000_000, 3), (5, 80, 500, 2)])
+def test_jaccard_join(spark, texts, k, percent, weight, small):
+    got = jaccard_join.join(frame(spark, texts), k=k, percent=percent, weight=weight, small=small).collect()
     assert len(got) == len(texts)
     want = brute_components(texts, k, percent)
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == want
@@ -214,3 +214,22 @@ def test_empty_tables(spark):
     labels = spark.createDataFrame([], "doc_id long, target boolean")
     for out in (jaccard_join.join(d), license_scan.scan(d), packing.pack(d), surrogates.replace(d), quality_rules.statistics(d), importance.resample(d, labels), language_id.predict(d, language_id.fit(d)), lm_scoring.score(d, lm_scoring.F.col("doc_id") % 10 == 0)):
         assert out.count() == 0
+
+
+def test_wide_regions_are_cut_exactly(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "SHARE", 10)
+    rng = np.random.default_rng(9)
+    base = [[f"b{g}_{i}" for i in range(60)] for g in range(3)]
+    common = "this very rare passage is shared by all of them and makes one region".split()
+    rows = []
+    for i in range(150):  # drifting copies: neighbours link, the ends of a chain do not
+        w = list(base[i % 3])
+        for j in range(i // 3):
+            if j % 2:
+                w[j % 60] = f"x{j}"
+        rows.append((i, " ".join([*common, *w]), "a"))
+    for i in range(150, 230):
+        rows.append((i, " ".join([*common, *rng.choice([f"r{k}" for k in range(2000)], 50)]), "b"))
+    got = jaccard_join.join(frame(spark, rows), small=8).collect()
+    want = brute_components(rows, 4, 85)
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == want and len({c for _, c in want.values()}) > 80
