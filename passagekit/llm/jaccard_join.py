@@ -37,7 +37,7 @@ from .common import discard, lower_words, materialise, slices
 
 WORDS, PERCENT, WEIGHT, MOST_COMMON = 4, 85, 2_000_000, 1 << 21
 #: Points from which a region is wide, pivots of a wide region, points of one task's share of it, rounds at most.
-SMALL, PIVOTS, SHARE, ROUNDS = 400, 4, 200, 6
+SMALL, PIVOTS, SHARE, ROUNDS = 800, 4, 200, 6
 
 
 class _Hashes(dict):
@@ -312,28 +312,41 @@ def voronoi(wide: DataFrame, arrays: DataFrame, percent: int, seed: int, pivots:
         import numpy as np
         import pyarrow as pa
 
+        kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.string())
+
+        def flush(region, heads, xs, ds, rows):
+            """The rows of one share against its pivots."""
+            size = np.array([len(x) for x in rows])
+            flat, start = np.concatenate(rows), np.cumsum(size) - size
+            common = np.stack([np.add.reduceat(p[np.minimum(np.searchsorted(p, flat), len(p) - 1)] == flat, start, dtype=np.int64) for p in xs], 1)
+            union = np.array([len(p) for p in xs]) + size[:, None] - common
+            dist, hit = 1 - common / union, 100 * common >= percent * union
+            out = []
+            for d, t, h in zip(ds, dist.tolist(), hit.tolist(), strict=True):
+                own = t.index(min(t))
+                out.append((region, own, heads[own], d, t[own], h[own], "core" if h[own] else "rest"))
+                # a link across cells is found in the earlier one
+                out += [(region, i, heads[i], d, t[i], h[i], "copy") for i in range(own) if t[i] <= t[own] + 2 * eps + 1e-12]
+            return out
+
         key, heads, xs = None, [], []
         for batch in slices(it):
-            out = []
+            out, ds, rows = [], [], []
             for region, part, kind, d, x in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
                 if (region, part) != key:
-                    key, heads, xs = (region, part), [], []
-                x = np.frombuffer(x, dtype=np.uint64)
+                    if ds:
+                        out += flush(key[0], heads, xs, ds, rows)
+                    key, heads, xs, ds, rows = (region, part), [], [], [], []
                 if kind == 0:
                     heads.append(d)
-                    xs.append(x)
-                    continue
-                common = np.array([(p[np.minimum(np.searchsorted(p, x), len(p) - 1)] == x).sum() for p in xs])
-                union = np.array([len(p) for p in xs]) + len(x) - common
-                dist = 1 - common / union
-                own = int(np.argmin(dist))
-                hit = (100 * common >= percent * union).tolist()
-                out.append((region, own, heads[own], d, float(dist[own]), hit[own], "core" if hit[own] else "rest"))
-                # a link across cells is found in the earlier one
-                out += [(region, i, heads[i], d, float(dist[i]), hit[i], "copy") for i in range(own) if dist[i] <= dist[own] + 2 * eps + 1e-12]
+                    xs.append(np.frombuffer(x, dtype=np.uint64))
+                else:
+                    ds.append(d)
+                    rows.append(np.frombuffer(x, dtype=np.uint64))
+            if ds:
+                out += flush(key[0], heads, xs, ds, rows)
             if out:
-                cols = list(zip(*out, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.bool_(), pa.string()), strict=True)], names=["region", "i", "pivot", "d", "dist", "hit", "what"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["region", "i", "pivot", "d", "dist", "hit", "what"])
 
     got = dealt.repartition(parts * 4, "region", "share").sortWithinPartitions("region", "share", "kind", "d").select("region", "share", "kind", "d", "x").mapInArrow(run, "region long, i int, pivot long, d long, dist double, hit boolean, what string")
     return got.withColumn("cell", F.xxhash64("region", "i", F.lit(seed))).drop("region", "i")
