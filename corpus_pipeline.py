@@ -45,7 +45,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality classifier", quality), ("n-gram jaccard join", near_duplicates), ("pii surrogates", private_data), ("mixing sources", mixture), ("best-fit packing", packed)]
 
-#: The stages hash, sample and tokenize, which SQL cannot state; tests hold run() to a brute-force version.
+#: The stages hash, sample and tokenize, which SQL cannot state; tests/llm/test_brute_force.py holds run() to its stages by hand.
 ORACLE_SQL = None
 
 
