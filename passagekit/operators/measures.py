@@ -75,6 +75,35 @@ def gap(scores: DataFrame) -> DataFrame:
     return s.groupBy("method").agg(F.count_if(F.col("q_hull") == F.col("g_hull")).alias("n_same"), F.count_if(F.col("q_hull") != F.col("g_hull")).alias("n_diff"), F.round(mean(True), 6).alias("same"), F.round(mean(False), 6).alias("diff"), F.round(mean(True) - mean(False), 6).alias("gap"))
 
 
+def gap_of_passages(p: DataFrame, method: str = "a") -> DataFrame:
+    """gap() over all unordered pairs of passages p, without a pair: a group's products sum to half its summed vector's square less its own squares.
+
+    Null or empty vectors take no part; without pairs of a kind its mean and the gap are null.
+    """
+    p = p.where("size(vec) > 0")
+    at = p.select("hull_id", F.posexplode("vec")).groupBy("hull_id", "pos").agg(F.sum("col").alias("s"), F.sum(F.col("col") * F.col("col")).alias("q"), F.count(F.lit(1)).alias("n"))
+    hull = at.groupBy("hull_id").agg(F.sum(F.col("s") * F.col("s")).alias("ss"), F.sum("q").alias("q"), F.max("n").alias("n"))
+    own = hull.agg(F.sum((F.col("ss") - F.col("q")) / 2).alias("same"), F.coalesce(F.sum(F.expr("n * (n - 1) div 2")), F.lit(0).cast("long")).alias("n_same"), F.sum("q").alias("q"), F.coalesce(F.sum("n"), F.lit(0).cast("long")).alias("n"))
+    every = at.groupBy("pos").agg(F.sum("s").alias("s")).agg(F.sum(F.col("s") * F.col("s")).alias("ss"))
+    out = own.crossJoin(every).withColumn("n_diff", F.expr("n * (n - 1) div 2 - n_same"))  # one row each
+    mean = lambda total, n: total / F.nullif(F.col(n), F.lit(0).cast("long"))
+    out = out.withColumns({"a": mean(F.col("same"), "n_same"), "b": mean((F.col("ss") - F.col("q")) / 2 - F.col("same"), "n_diff")})
+    return out.select(F.lit(method).alias("method"), "n_same", "n_diff", F.round("a", 6).alias("same"), F.round("b", 6).alias("diff"), F.round(F.col("a") - F.col("b"), 6).alias("gap"))
+
+
+def chance_level(p: DataFrame) -> DataFrame:
+    """n, chance_rank1: share of a query's candidates that are of its hull, meant over queries with a candidate.
+
+    Candidates are the other passages of the query's source; hulls of one passage neither ask nor stand in the gallery. All
+    of it follows from counts by hull and source.
+    """
+    many = p.groupBy("hull_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("hull_id")
+    cell = p.join(many, "hull_id", "left_semi").groupBy("source", "hull_id").agg(F.count(F.lit(1)).alias("own"))
+    cell = cell.join(cell.groupBy("source").agg(F.sum("own").alias("every")), "source").where("every > 1")
+    out = cell.agg(F.coalesce(F.sum("own"), F.lit(0).cast("long")).alias("n"), F.sum(F.col("own") * (F.col("own") - 1) / (F.col("every") - 1)).alias("c"))
+    return out.select("n", F.round(F.col("c") / F.nullif(F.col("n"), F.lit(0).cast("long")), 6).alias("chance_rank1"))
+
+
 def win_matrix(scores: DataFrame) -> DataFrame:
     """Per method and pair of query hulls: wins (ties one half) and pairs of genuine against impostor scores. All that a
     hull bootstrap of the AUC needs: a replicate with multiplicities w is sum w w wins / sum w w pairs."""

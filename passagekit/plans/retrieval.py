@@ -15,9 +15,7 @@ from ..stage import settled
 BASE = "base as (select vec_id i, embedding::double[] v from embeddings), sz as (select count(*) cnt, 40 * greatest(1, count(*) // 500) hulls from embeddings)"
 
 
-POOLED = """pm as (select label::bigint hull_id, vec_id % 50 b, k, round(avg(e::double), 12) m from (select label, vec_id, unnest(embedding) e, generate_subscripts(embedding, 1) k from embeddings) group by all),
-    pv as (select hull_id, b, list(m order by k) v from pm group by all),
-    pa as (select hull_id * 1000 + b passage_id, hull_id, (b % 4)::varchar source, list_transform(v, lambda x: x / sqrt(list_dot_product(v, v))) vec from pv)"""
+LABELS = "pa as (select vec_id::bigint passage_id, label::bigint hull_id, (vec_id % 4)::varchar source, list_transform(embedding, lambda x: x::double / sqrt(list_dot_product(embedding::double[], embedding::double[]))) vec from embeddings)"
 
 
 def _planted(name: str, sh: int = 11, sp: int = 97, lam: float = 2.0, off: float = 0.0) -> str:
@@ -121,9 +119,7 @@ def null_table(spark, d):
 
 
 def chance(spark, d):
-    s = P.leave_one_out(settled(C.label_passages(C.table(spark, d, "embeddings"))), keep_singletons=False)
-    by = s.groupBy("query_id").agg((F.count_if(F.col("q_hull") == F.col("g_hull")) / F.count(F.lit(1))).alias("c"))
-    return by.agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("c"), 6).alias("chance_rank1"))
+    return M.chance_level(C.label_passages(C.table(spark, d, "embeddings")))
 
 
 def genuine_corr(spark, d):
@@ -200,9 +196,9 @@ TABLE = {
     "dedup_effect": (dedup_effect, f"with {BASE}, {_planted('p0')}, du as (select -1 - passage_id passage_id, hull_id, passage_no, source, list_transform(range(1, 65), lambda k: vec[k] + 0.1 * v[k]) u from p0, sz, base where i = hulls + (7 * passage_id + 3) % (cnt - hulls) and passage_id % 6 = 0), pa as (select * from p0 union all select passage_id, hull_id, passage_no, source, list_transform(u, lambda x: x / sqrt(list_dot_product(u, u))) from du), {_scores('sr', 'pa', 'recordings')}, {_scores('st', 'p0', 'transits')}, s as (select * from sr union all select * from st), {RANKS} select method, {RANK_COLS} from r group by method"),
     "open_set_sweep": (open_set, f"with {SINGLE}, t as (select * from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1), k as (select round(unnest(range(21)) * 0.05::double, 2) tau) select tau, count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull = g_hull) as \"right\", count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull <> g_hull) wrong, count(*) filter (where sim >= tau and q_hull % 3 = 0) false_accept, count(*) filter (where sim < tau and q_hull % 3 <> 0) false_reject, count(*) filter (where sim < tau and q_hull % 3 = 0) as unknown from t, k group by tau"),
     "open_set_decide": (open_set_decide, f"with {SINGLE} select query_id, gallery_id, sim, case when sim >= 0.3 then 'accept' else 'unknown' end verdict from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1"),
-    "null_metrics": (null_table, f"with {POOLED}, {_scores('s', 'pa', 'a')}, {RANKS}, {POINTS} {ROW}"),
-    "chance_level": (chance, f"with {POOLED}, {_scores('s', 'pa', 'a', True, False)} select count(*) n, round(avg(c), 6) chance_rank1 from (select count(*) filter (where q_hull = g_hull) / count(*) c from s group by query_id)"),
-    "null_gap": (lambda s, d: M.gap(P.leave_one_out(settled(C.label_passages(C.table(s, d, "embeddings"))), pure=False)), f"with {POOLED}, {_scores('s', 'pa', 'a', False)} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
+    "null_metrics": (null_table, f"with {LABELS}, {_scores('s', 'pa', 'a')}, {RANKS}, {POINTS} {ROW}"),
+    "chance_level": (chance, f"with {LABELS}, {_scores('s', 'pa', 'a', True, False)} select count(*) n, round(avg(c), 6) chance_rank1 from (select count(*) filter (where q_hull = g_hull) / count(*) c from s group by query_id)"),
+    "null_gap": (lambda s, d: M.gap_of_passages(settled(C.label_passages(C.table(s, d, "embeddings")))), f"with {LABELS}, {_scores('s', 'pa', 'a', False)} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
     "val_gap": (lambda s, d: M.gap(_planted_scores(s, d)), f"with {SINGLE} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
     "genuine_corr": (genuine_corr, f"with {THREE}, x as (select query_id, max(best) filter (where method = 'a') a, max(best) filter (where method = 'b') b, max(rank) filter (where method = 'a') ra, max(rank) filter (where method = 'b') rb from r group by query_id) select round(corr(a, b), 6) r, count(*) filter (where (ra = 1) <> (rb = 1)) discordant, round(avg(case when (ra = 1) <> (rb = 1) then 1.0 else 0 end), 6) share from x"),
     "mcnemar_contrasts": (lambda s, d: M.mcnemar(P.true_rank(_all(s, d))), f"with {THREE}, {MC} select * from mp"),

@@ -9,7 +9,7 @@ from ..operators import supply as S
 from ..operators import tonal as T
 from ..sources.carriers import table
 from ..stage import settled
-from .retrieval import POOLED
+from .retrieval import LABELS
 
 
 def _pings(s, d):
@@ -118,7 +118,7 @@ def margin(s, d):
     return by.groupBy("m").agg(F.round(F.avg("loss"), 6).alias("loss"))
 
 
-MARGIN = POOLED + ", b as (select passage_id vec_id, hull_id label, vec v from pa), mu as (select label cls, list_transform(range(1, 65), lambda i: list_avg(list_transform(vs, lambda u: u[i]))) w from (select label, list(v order by vec_id) vs from b group by label)), pr as (select cls, list_transform(w, lambda x: x / sqrt(list_dot_product(w, w))) w from mu), z as (select m, vec_id, label = cls own, 30 * case when label = cls then cos(acos(greatest(-1, least(1, list_dot_product(v, w)))) + m) else list_dot_product(v, w) end z from b, pr, (select unnest([0::double, 0.3, 0.5]) m)) select m, round(avg(loss), 6) loss from (select m, vec_id, ln(sum(exp(z))) - max(z) filter (where own) loss from z group by all) group by m"
+MARGIN = LABELS + ", b as (select passage_id vec_id, hull_id label, vec v from pa), mu as (select label cls, list_transform(range(1, 65), lambda i: list_avg(list_transform(vs, lambda u: u[i]))) w from (select label, list(v order by vec_id) vs from b group by label)), pr as (select cls, list_transform(w, lambda x: x / sqrt(list_dot_product(w, w))) w from mu), z as (select m, vec_id, label = cls own, 30 * case when label = cls then cos(acos(greatest(-1, least(1, list_dot_product(v, w)))) + m) else list_dot_product(v, w) end z from b, pr, (select unnest([0::double, 0.3, 0.5]) m)) select m, round(avg(loss), 6) loss from (select m, vec_id, ln(sum(exp(z))) - max(z) filter (where own) loss from z group by all) group by m"
 
 
 def sessions(s, d):

@@ -61,15 +61,13 @@ def planted_duplicates(emb: DataFrame, every: int = 6, eps: float = 0.1) -> Data
     return own.withColumn("dup_of", F.lit(None).cast("long")).unionByName(again)
 
 
-def label_passages(emb: DataFrame, buckets: int = 50) -> DataFrame:
-    """hull = label; every vector of the table is pooled into one of `buckets` passages of its label, source = bucket modulo 4.
+def label_passages(emb: DataFrame) -> DataFrame:
+    """hull = label, one passage for each vector of the table, source = vec_id modulo 4.
 
-    Labels say nothing about the vectors, so this is the chance slice; its size is bounded at any scale.
+    Labels say nothing about the vectors, so this is the chance slice.
     """
-    at = emb.select(F.col("label").cast("long").alias("hull_id"), (F.col("vec_id") % buckets).cast("long").alias("b"), F.posexplode("embedding"))
-    mean = at.groupBy("hull_id", "b", "pos").agg(F.round(F.avg(F.col("col").cast("double")), 12).alias("m"))
-    rows = mean.groupBy("hull_id", "b").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda s: s["m"]).alias("v"))
-    return rows.select((F.col("hull_id") * 1000 + F.col("b")).alias("passage_id"), "hull_id", (F.col("b") % 4).cast("string").alias("source"), unit(F.col("v")).alias("vec"))
+    i = F.col("vec_id").cast("long")
+    return emb.select(i.alias("passage_id"), F.col("label").cast("long").alias("hull_id"), (i % 4).cast("string").alias("source"), unit(F.col("embedding").cast("array<double>")).alias("vec"))
 
 
 def supplier_years(li: DataFrame, copies: bool = True) -> DataFrame:

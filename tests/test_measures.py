@@ -2,6 +2,10 @@
 
 import random
 
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
 from passagekit.operators import measures as M
 from passagekit.operators import protocol as P
 from passagekit.operators import supply as S
@@ -45,3 +49,18 @@ def test_unidentified_are_kept_apart(spark):
     rec = spark.createDataFrame([("12",), ("x1",), (None,)], "hull_id string")
     ok, rest = S.identified(rec)
     assert ok.count() == 1 and rest.count() == 2
+
+
+def test_gap_and_chance_by_sums_equal_pairs(spark):
+    rng = np.random.default_rng(8)
+    vec = rng.normal(size=(40, 6))
+    p = spark.createDataFrame([(i, i % 5, str(i % 3), v.tolist()) for i, v in enumerate(vec)], "passage_id long, hull_id long, source string, vec array<double>")
+    s = P.leave_one_out(p, pure=False)
+    want, got = M.gap(s).first().asDict(), M.gap_of_passages(p).first().asDict()
+    assert got == pytest.approx(want, abs=2e-6)
+    lone = p.unionByName(spark.createDataFrame([(99, 77, "0", vec[0].tolist()), (98, 78, "9", vec[0].tolist())], p.schema))
+    by = P.leave_one_out(lone, keep_singletons=False).groupBy("query_id").agg((F.count_if(F.col("q_hull") == F.col("g_hull")) / F.count(F.lit(1))).alias("c"))
+    want = by.agg(F.count(F.lit(1)), F.avg("c")).first()
+    assert tuple(M.chance_level(lone).first()) == pytest.approx(tuple(want), abs=1e-6)
+    none = M.gap_of_passages(p.limit(0)).first()
+    assert (none["n_same"], none["n_diff"], none["gap"]) == (0, 0, None) and tuple(M.chance_level(p.limit(0)).first()) == (0, None)
