@@ -42,6 +42,8 @@ POINTS = """pts as (select method, max(sim) sim, 1 same from s where q_hull = g_
     eer as (select method, round(max_by(far0 + (far - far0) * coalesce((frr0 - far0) / nullif(frr0 - far0 + far - frr, 0), 0), sim), 6) eer from cross_at where far >= frr and far0 < frr0 group by method)"""
 RANK_COLS = "count(*) n, round(avg(case when rank <= 1 then 1.0 else 0 end), 6) rank1, round(avg(case when rank <= 5 then 1.0 else 0 end), 6) hit5, round(avg(case when rank <= 10 then 1.0 else 0 end), 6) hit10, round(quantile_cont(rank, 0.5), 6) medr, round(1.0::double / count(*), 6) one_query"
 THREE = f"{BASE}, {_planted('pa')}, {_planted('pb', 29, 53)}, {_scores('sa', 'pa', 'a')}, {_scores('sb', 'pb', 'b')}, {FUSED}, s as (select * from sa union all select * from sb union all select * from sf), {RANKS}"
+# the same curves over all genuine pairs, not the best of each query
+PAIRWISE = ("pts as (select method, sim, (q_hull = g_hull)::int same from s)," + POINTS.split("),", 1)[1]).replace("pts", "pts_p").replace("roc", "roc_p").replace("auc as", "auc_p as").replace("cross_at", "cross_p").replace("eer as", "eer_p as")
 ROW = f"select m.*, auc, eer from (select method, {RANK_COLS} from r group by method) m join auc using (method) join eer using (method)"
 
 
@@ -114,8 +116,10 @@ def open_set_decide(spark, d):
 
 
 def null_table(spark, d):
+    """The metric row, and AUC and EER over all genuine pairs: the best of many chance scores beats most others, a chance pair does not."""
     s = settled(P.leave_one_out(settled(C.label_passages(C.table(spark, d, "embeddings")))))
-    return M.evaluate(s, P.true_rank(s))
+    pairwise = M.curve(M.labelled(s, "all")).select("method", F.col("auc").alias("pair_auc"), F.col("eer").alias("pair_eer"))
+    return M.evaluate(s, P.true_rank(s)).join(pairwise, "method")
 
 
 def chance(spark, d):
@@ -196,7 +200,7 @@ TABLE = {
     "dedup_effect": (dedup_effect, f"with {BASE}, {_planted('p0')}, du as (select -1 - passage_id passage_id, hull_id, passage_no, source, list_transform(range(1, 65), lambda k: vec[k] + 0.1 * v[k]) u from p0, sz, base where i = hulls + (7 * passage_id + 3) % (cnt - hulls) and passage_id % 6 = 0), pa as (select * from p0 union all select passage_id, hull_id, passage_no, source, list_transform(u, lambda x: x / sqrt(list_dot_product(u, u))) from du), {_scores('sr', 'pa', 'recordings')}, {_scores('st', 'p0', 'transits')}, s as (select * from sr union all select * from st), {RANKS} select method, {RANK_COLS} from r group by method"),
     "open_set_sweep": (open_set, f"with {SINGLE}, t as (select * from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1), k as (select round(unnest(range(21)) * 0.05::double, 2) tau) select tau, count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull = g_hull) as \"right\", count(*) filter (where sim >= tau and q_hull % 3 <> 0 and q_hull <> g_hull) wrong, count(*) filter (where sim >= tau and q_hull % 3 = 0) false_accept, count(*) filter (where sim < tau and q_hull % 3 <> 0) false_reject, count(*) filter (where sim < tau and q_hull % 3 = 0) as unknown from t, k group by tau"),
     "open_set_decide": (open_set_decide, f"with {SINGLE} select query_id, gallery_id, sim, case when sim >= 0.3 then 'accept' else 'unknown' end verdict from s where g_hull % 3 <> 0 qualify row_number() over (partition by query_id order by sim desc, gallery_id) = 1"),
-    "null_metrics": (null_table, f"with {LABELS}, {_scores('s', 'pa', 'a')}, {RANKS}, {POINTS} {ROW}"),
+    "null_metrics": (null_table, f"with {LABELS}, {_scores('s', 'pa', 'a')}, {RANKS}, {POINTS}, {PAIRWISE} select w.*, pair_auc, pair_eer from ({ROW}) w join (select method, auc pair_auc from auc_p) using (method) join (select method, eer pair_eer from eer_p) using (method)"),
     "chance_level": (chance, f"with {LABELS}, {_scores('s', 'pa', 'a', True, False)} select count(*) n, round(avg(c), 6) chance_rank1 from (select count(*) filter (where q_hull = g_hull) / count(*) c from s group by query_id)"),
     "null_gap": (lambda s, d: M.gap_of_passages(settled(C.label_passages(C.table(s, d, "embeddings")))), f"with {LABELS}, {_scores('s', 'pa', 'a', False)} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),
     "val_gap": (lambda s, d: M.gap(_planted_scores(s, d)), f"with {SINGLE} select method, count(*) filter (where q_hull = g_hull) n_same, count(*) filter (where q_hull <> g_hull) n_diff, round(avg(sim) filter (where q_hull = g_hull), 6) same, round(avg(sim) filter (where q_hull <> g_hull), 6) diff, round(avg(sim) filter (where q_hull = g_hull) - avg(sim) filter (where q_hull <> g_hull), 6) gap from s where query_id < gallery_id group by method"),

@@ -25,14 +25,14 @@ def shared_folder(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
-def settled(df: DataFrame) -> DataFrame:
-    """df written as Parquet and read again: computed once for all that is made of it, and safe from lost executors."""
+def settled(df: DataFrame, by: tuple = ()) -> DataFrame:
+    """df written as Parquet (in folders by the columns of by) and read again: computed once for all that is made of it, and safe from lost executors."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/stages/{uuid.uuid4().hex}"
     was = spark.conf.get(_CLEAN, None)
     spark.conf.set(_CLEAN, "true")
     try:
-        df.write.parquet(path)
+        df.write.partitionBy(*by).parquet(path)
     finally:
         spark.conf.unset(_CLEAN) if was is None else spark.conf.set(_CLEAN, was)
     out = spark.read.schema(df.schema).parquet(path)

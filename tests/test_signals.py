@@ -71,6 +71,34 @@ def test_training_lowers_the_loss_and_weights_survive_a_round_trip(spark, tmp_pa
     assert np.allclose(v[1], v[2]) and np.isclose(np.linalg.norm(v[1]), 1) and np.isfinite(v[3]).all()
 
 
+def test_epochs_take_manifests_in_turn(spark):
+    rng = np.random.default_rng(9)
+    x = rng.normal(size=(14, 64))
+    rows = [(i, i % 3, None if i > 12 else 4 if i % 2 else 2, v.tolist()) for i, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "tensor_id long, cls long, manifest long, x array<double>")
+    start = E.init(E.SMALL, 7)
+    _, history = E.train(spark, df, E.SMALL, [0.0] * 3, start, batch=100, micro=4)
+    start["head"] = np.random.default_rng(7).normal(0, 1, (3, E.SMALL.widths[-1]))
+    want = []
+    for m in (2, 4, 2):
+        own = [i for i, r in enumerate(rows) if r[2] == m]
+        want.append(E.loss_and_gradient(E.standardise(x[own]), np.array([i % 3 for i in own]), start, E.SMALL, 30.0, 0.3)[0] / len(own))
+    assert [b for _, b in history] == pytest.approx(want)
+    assert E.train(spark, df.limit(0), E.SMALL, [1e-3])[1] == []
+
+
+def test_a_step_reads_its_own_folder(spark):
+    """Every tensor takes part once an epoch, in steps beyond one folder's."""
+    rng = np.random.default_rng(11)
+    df = spark.createDataFrame([(i, 0, v.tolist()) for i, v in enumerate(rng.normal(size=(12, 64)))], "tensor_id long, cls long, x array<double>")
+    was, E.STEPS = E.STEPS, 2
+    try:
+        _, history = E.train(spark, df, E.SMALL, [0.0], batch=2, micro=2)
+    finally:
+        E.STEPS = was
+    assert 2 < len(history) <= 6
+
+
 def test_copies_depend_on_their_keys_alone(spark):
     x = [(i, 0, np.sin(np.arange(64) * 2 * np.pi * 9 / 64).tolist()) for i in range(6)]
     noise = np.random.default_rng(0).normal(0, 1, (2, 64))
