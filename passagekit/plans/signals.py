@@ -151,10 +151,7 @@ def peak_check(s, d):
 
 # ---- encoder
 def encoder_embed(s, d):
-    e = E.embed(C.document_segments(C.table(s, d, "documents")), E.init(E.SMALL), E.SMALL)
-    at = e.select("recording_id", F.posexplode("vec")).groupBy("recording_id", "pos").agg(F.avg("col").alias("m"))
-    v = at.groupBy("recording_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda x: x["m"]).alias("v"))
-    return v.select("recording_id", unit(F.col("v")).alias("vec"))
+    return E.embed_pooled(C.document_segments(C.table(s, d, "documents")), E.init(E.SMALL), E.SMALL).select("recording_id", "vec")
 
 
 def kernel_crest(s, d):

@@ -114,3 +114,28 @@ def test_top_hits_and_map(spark):
     p = spark.createDataFrame([(1,), (2,), (3,)], "passage_id long")
     moved = spark.createDataFrame([(1, 1), (2, 1), (3, 3)], "passage_id long, transit_id long")
     assert sorted(r[0] for r in P.apply_map(p, moved).collect()) == [1, 3]
+
+
+def test_text_windows_are_those_of_the_segment_rule(spark):
+    from pyspark.sql import functions as F
+
+    from passagekit.sources import carriers as C
+
+    texts = [None, "", "short", "a" * 8, "äbc\U0001f600" * 5, "x" * 17, "y" * 18, "z" * 40_000]
+    docs = spark.createDataFrame([(i, t, "l", "s", 7) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, x int")
+    got = {(r["recording_id"], r["start"]): r["x"] for r in C.document_segments(docs, 8).collect()}
+    rec = docs.where("text is not null").select(F.col("doc_id").alias("recording_id"), F.length("text").cast("long").alias("n_samples"))
+    want = {(r["recording_id"], r["start"]) for r in S.segment(rec, 8, 1).collect()}
+    assert set(got) == want and all(x == [float(ord(c)) for c in texts[i][k : k + 8]] for (i, k), x in got.items())
+
+
+def test_pooled_vectors_are_the_unit_means_of_the_segments(spark):
+    from passagekit.operators import encoder as E
+    from passagekit.operators import protocol as P
+
+    rng = np.random.default_rng(12)
+    seg = spark.createDataFrame([(i % 3, i, v.tolist()) for i, v in enumerate(rng.normal(size=(20, 64)))], "recording_id long, start long, x array<double>")
+    p = E.init(E.SMALL)
+    want = {r["passage_id"]: (r["n"], r["vec"]) for r in P.pool_passages(E.embed(seg, p, E.SMALL).withColumnRenamed("recording_id", "passage_id")).collect()}
+    for r in E.embed_pooled(seg, p, E.SMALL, batch=7).collect():
+        assert r["n"] == want[r["recording_id"]][0] and np.allclose(r["vec"], want[r["recording_id"]][1])
