@@ -87,6 +87,22 @@ def test_epochs_take_manifests_in_turn(spark):
     assert E.train(spark, df.limit(0), E.SMALL, [1e-3])[1] == []
 
 
+def test_staged_training_releases_the_longest_branch_last(spark, monkeypatch):
+    start = E.gabor_init(E.EncoderSpec(kernels=(127, 511), channels=8))
+    crest = E.inspect_kernels(start, E.EncoderSpec(kernels=(127, 511), channels=8))
+    assert crest["cycles"].between(4, 11).all()
+    rng = np.random.default_rng(13)
+    df = spark.createDataFrame([(i, i % 2, v.tolist()) for i, v in enumerate(rng.normal(size=(8, 64)))], "tensor_id long, cls long, x array<double>")
+    seen, plain = [], E.train
+    monkeypatch.setattr(E, "train", lambda *a, **k: seen.append((a[3], plain(*a, **k))) or seen[-1][1])
+    p, history = E.train_staged(spark, df, E.SMALL, (1, 1, 1), batch=8, micro=4)
+    a, b, c = (m for _, (m, _) in seen)
+    first = E.gabor_init(E.SMALL)
+    moved = lambda x, y: [not np.array_equal(x[f"bank{i}.w"], y[f"bank{i}.w"]) for i in range(3)]
+    assert (moved(first, a), moved(a, b), moved(b, c)) == ([False] * 3, [True, True, False], [True] * 3)
+    assert [r for r, _ in seen] == [[1e-3], [1e-4], [1e-4]] and [s for s, _, _ in history] == [0, 1, 2] and p is c
+
+
 def test_a_step_reads_its_own_folder(spark):
     """Every tensor takes part once an epoch, in steps beyond one folder's."""
     rng = np.random.default_rng(11)
