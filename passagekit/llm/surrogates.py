@@ -38,6 +38,9 @@ _NEUTRAL = ("Dr", "Prof", "Professor")
 #: A name: a capital and letters, in parts with hyphens or apostrophes.
 _CAPITAL, _PART = r"[^\W\d_a-zß-öø-ÿа-яёα-ωά-ώ]", r"[^\W\d_]"
 _NAME = rf"(?:{_CAPITAL}['’])?{_CAPITAL}{_PART}+(?:[-'’]{_PART}+)*"
+_TITLES = "|".join((*_FEMALE, *_MALE, *_NEUTRAL))
+#: Initials, particles and second titles between a title and a name; they stay as they are.
+_BEFORE = rf"(?:(?:{'|'.join(_NEUTRAL)})\.? |{_CAPITAL}(?:\. ?| )|(?:van|von|der|den|de|del|della|di|da|dos|du|la|las|los|le|zu|zum|zur|ten|ter|bin|al|el) ){{0,4}}"
 _OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
 # What counts as an entity, by type; earlier types win where matches begin together.
 PATTERNS = {
@@ -48,11 +51,24 @@ PATTERNS = {
     "ssn": r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])",
     "card": r"(?<![\d.])\d(?:[ -]?\d){12,18}(?!\d)",
     "iban": r"\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b",
-    "person": rf"\b(?P<title>{'|'.join((*_FEMALE, *_MALE, *_NEUTRAL))})\.? (?P<name>{_NAME}(?: (?!(?:{"|".join((*_FEMALE, *_MALE, *_NEUTRAL))})\b){_NAME}){{0,2}})",
+    "person": rf"\b(?P<title>{_TITLES})\.? {_BEFORE}(?P<name>{_NAME}(?: (?!(?:{_TITLES})\b){_NAME}){{0,2}})",
 }
 _ALL = re.compile("|".join(f"(?P<{k}>{v})" for k, v in PATTERNS.items()))
-#: No entity is without one of these.
-_MAYBE = re.compile(r"\d[\d ().-]{6}|@|[=:]\s*[\"']?\S{6}|AKIA|gh[pousr]_|Mr|Ms|Miss|Herr|Frau|Monsieur|Mme|Madame|Se\u00f1or|Sra?\b|\u0413\u043e\u0441\u043f|\u0433-[\u043d\u0436]|\u039a\u03c5\u03c1\u03af|\u039a\u03cd\u03c1|\d\.\d")
+# No entity is without one of these: every match of PATTERNS holds a title and what follows it, an at sign or what _MARKS finds.
+_TITLED = [t + end for t in _TITLES.split("|") for end in (" ", ". ")]
+#: The beginnings of all titles, those beyond ASCII apart.
+_STEMS = sorted({t for t in _TITLES.split("|") if not any(t != u and t.startswith(u) for u in _TITLES.split("|"))})
+_ASCII, _WIDE = [t for t in _STEMS if t.isascii()], [t for t in _STEMS if not t.isascii()]
+_MARKS = re.compile(r"[\d=:Ag](?:(?<=\d)(?:[\d ().-]{6}|\.\d|(?<=\+\d)|\d(?<=[A-Z]{2}\d\d))|(?<=[=:])\s*[\"']?\S{6}|(?<=A)KIA|(?<=g)h[pousr]_)")
+
+
+def may_hold(text: str) -> bool:
+    """False only for texts without an entity."""
+    if "@" in text or _MARKS.search(text):
+        return True
+    stem = any(t in text for t in _ASCII) or not text.isascii() and any(t in text for t in _WIDE)
+    return stem and any(t in text for t in _TITLED)
+
 
 _CLASSES = ["0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "абвгдежзийклмнопрстуфхцчшщъыьэюя", "АБВГДЕЖЗИЙКЛМНОПРСТУФХЦЧШЩЪЫЬЭЮЯ", "αβγδεζηθικλμνξοπρστυφχψω", "ΑΒΓΔΕΖΗΘΙΚΛΜΝΞΟΠΡΣΤΥΦΧΨΩ"]
 _CLASS = {c: k for k, cs in enumerate(_CLASSES) for c in cs}
@@ -263,7 +279,7 @@ class Surrogates:
 
     def replace(self, text: str | None) -> tuple[str | None, list[tuple[str, int, int]]]:
         """(text with surrogates, entities found as type, start and end in the original)."""
-        if not text or not _MAYBE.search(text):
+        if not text or not may_hold(text):
             return text, []
         spans = []
         for m in _ALL.finditer(text):
