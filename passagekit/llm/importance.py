@@ -5,8 +5,8 @@ A document's log weight is the sum of log ratios of its features; Gumbel noise i
 samples k documents without replacement in proportion to their weights. k is the expected number of target-like documents,
 the sum over all documents of min(1, share of target labels x weight).
 
-Raw counts cover every document. Target counts come from a bounded sample: `most_target` labelled documents, those with
-the smallest hash of their id. A ratio is shrunk to 1 where the target has little to say: (seen + tau) / (expected + tau).
+Raw counts cover every document, target counts every document labelled as target; the ids of these go to all tasks (8 bytes
+each). A ratio is shrunk to 1 where the target has little to say: (seen + tau) / (expected + tau).
 
 Null and empty texts have no features and weight 1 (log 0), so they stay if k allows. Without target labels all weights
 are 1 and everything is kept. Rows that repeat have the same key; ties at the k-th key are all kept. Long texts are read whole.
@@ -51,31 +51,38 @@ class Hashes(dict):
         return h
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", most_target: int = 20_000, tau: float = 8.0, buckets: int = BUCKETS):
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", tau: float = 8.0, buckets: int = BUCKETS):
     """(log ratio of each bucket, share of target labels). labels: id_col and target (boolean)."""
     import numpy as np
 
     known = labels.where("target is not null")
     n = known.agg(F.count(F.lit(1)).alias("all"), F.count_if("target").alias("good")).first()
-    pick = known.where("target").select(id_col).distinct().orderBy(F.xxhash64(id_col), id_col).limit(most_target)
-    ids = set(pick.toArrow()[id_col].to_pylist())  # at most most_target
+    ids = np.sort(known.where("target").where(F.col(id_col).isNotNull()).select(id_col).distinct().toArrow()[id_col].to_numpy())
     sent = docs.sparkSession.sparkContext.broadcast(ids)
 
+    def targets(col):
+        """Which values are ids of target documents."""
+        known, out = np.asarray(col.is_valid()), np.zeros(len(col), bool)
+        if known.any() and len(sent.value):
+            v = col.drop_null().to_numpy(zero_copy_only=False)
+            out[known] = sent.value[np.minimum(np.searchsorted(sent.value, v), len(sent.value) - 1)] == v
+        return out
+
     def run(it):
         import pyarrow as pa
 
         raw, own, cache = np.zeros(buckets, np.int64), np.zeros(buckets, np.int64), Hashes()
         for batch in slices(it):
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            for target, text in zip(targets(batch.column(0)).tolist(), batch.column(1).to_pylist(), strict=True):
                 f = features(text, cache, buckets)
                 if len(f) < buckets >> 3:
                     np.add.at(raw, f, 1)
-                    if i in sent.value:
+                    if target:
                         np.add.at(own, f, 1)
                 else:
                     c = np.bincount(f, minlength=buckets)
                     raw += c
-                    if i in sent.value:
+                    if target:
                         own += c
         at = np.flatnonzero(raw)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(raw[at]), pa.array(own[at])], names=["bucket", "raw", "own"])
@@ -85,7 +92,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     at = got["bucket"].to_numpy()
     raw[at], own[at] = got["raw"].to_numpy(), got["own"].to_numpy()
     expected = raw / max(raw.sum(), 1) * own.sum()
-    return np.log((own + tau) / (expected + tau)), (n["good"] / n["all"] if n["all"] and ids else 1.0)
+    return np.log((own + tau) / (expected + tau)), (n["good"] / n["all"] if n["all"] and len(ids) else 1.0)
 
 
 def gumbel(id_col: str, seed: int) -> Column:
