@@ -33,42 +33,105 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import discard, lower_words, materialise, slices
+from .common import discard, materialise, slices
 
 WORDS, PERCENT, WEIGHT, MOST_COMMON = 4, 85, 2_000_000, 1 << 21
 #: Points from which a region is wide, pivots of a wide region, points of one task's share of it, rounds at most.
 SMALL, PIVOTS, SHARE, ROUNDS = 800, 4, 200, 6
 
 
-class _Hashes(dict):
-    def __missing__(self, word):
-        import xxhash
+#: Two odd factors of the hashes, bytes of a word hashed in steps of eight (longer ones by xxhash), bytes of text hashed at once.
+_MIX, _FOLD, LONG, AT_ONCE = 0x9E3779B97F4A7C15, 0xD6E8FEB86659FD93, 64, 1 << 20
 
-        if len(self) > 200_000:
-            self.clear()
-        self[word] = h = xxhash.xxh3_64_intdigest(word)
-        return h
 
+def _mixed(h):
+    """A one-to-one map of 64-bit numbers in which every bit depends on all."""
+    import numpy as np
+
+    h = h ^ (h >> np.uint64(32))
+    h *= np.uint64(_MIX)
+    h ^= h >> np.uint64(29)
+    h *= np.uint64(_FOLD)
+    h ^= h >> np.uint64(32)
+    return h
+
+
+def word_hashes(texts):
+    """64-bit hashes of all words of an Arrow column of texts (A-Z lower-cased), and each text's first place among them, ended by their number.
 
-def shingle_set(text: str | None, cache: dict, k: int = WORDS):
-    """Sorted distinct 64-bit hashes of the k-word shingles."""
+    Words are found and hashed over the bytes of all texts at once, eight bytes of every word in a step; a word's hash depends on its bytes alone.
+    """
     import numpy as np
+    import pyarrow as pa
+    import xxhash
 
-    words = lower_words(text)
-    if not words:
-        return np.zeros(0, np.uint64)
-    h = np.array([cache[w] for w in words], dtype=np.uint64)
-    n = len(h) - k + 1
-    if n < 1:
-        h, k, n = np.concatenate([np.array([len(h)], np.uint64), h]), len(h) + 1, 1
-    out = np.zeros(n, np.uint64)
+    if texts.null_count:
+        texts = texts.fill_null("")
+    _, offsets, data = texts.buffers()
+    at = np.frombuffer(offsets, np.int64 if pa.types.is_large_string(texts.type) else np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64) if len(texts) else np.zeros(1, np.int64)
+    raw = np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data and at[-1] > at[0] else np.zeros(0, np.uint8)
+    at -= at[0]
+    size = len(raw)
+    low, gap = np.arange(256, dtype=np.uint8), np.zeros(256, bool)
+    low[65:91] += 32
+    gap[[32, *range(9, 14)]] = True
+    chars = np.zeros(size + 8, np.uint8)  # eight bytes can be read at every place
+    chars[:size] = low[raw]
+    apart = np.ones(size + 2, bool)
+    apart[1:-1] = gap[raw]
+    begins, ends = apart[:-2] & ~apart[1:-1], ~apart[1:-1] & apart[2:]
+    edge = at[(at > 0) & (at < size)]  # no word goes from one text into the next
+    begins[edge] |= ~apart[edge + 1]
+    ends[edge - 1] |= ~apart[edge]
+    first, last = np.flatnonzero(begins), np.flatnonzero(ends) + 1
+    n = last - first
+    eight = np.ndarray(size + 1, "<u8", chars, 0, (1,))
+    keep = np.array([(1 << 8 * i) - 1 for i in range(9)], np.uint64)
+    h = _mixed((eight[first] & keep[np.minimum(n, 8)]) ^ (n.astype(np.uint64) * np.uint64(_MIX)))
+    more, step = np.flatnonzero((n > 8) & (n <= LONG)), 8
+    while len(more):
+        h[more] = _mixed(h[more] ^ (eight[first[more] + step] & keep[np.minimum(n[more] - step, 8)]))
+        step += 8
+        more = more[n[more] > step]
+    for i in np.flatnonzero(n > LONG):
+        h[i] = xxhash.xxh3_64_intdigest(chars[first[i] : last[i]])
+    return h, np.searchsorted(first, at)
+
+
+def _chained(h, k: int, seed: int = 0):
+    """Hashes of all runs of k word hashes."""
+    import numpy as np
+
+    out = np.full(max(len(h) - k + 1, 0), seed, np.uint64)
     for i in range(k):
-        out = (out ^ h[i : i + n]) * np.uint64(0x9E3779B97F4A7C15)
+        out ^= h[i : i + len(out)]
+        out *= np.uint64(_MIX)
         out ^= out >> np.uint64(31)
-    out *= np.uint64(0xD6E8FEB86659FD93)
+    out *= np.uint64(_FOLD)
     out ^= out >> np.uint64(32)
-    out.sort()
-    return out[np.concatenate([[True], out[1:] != out[:-1]])]
+    return out
+
+
+def shingle_sets(texts, k: int = WORDS):
+    """For each text of an Arrow column its sorted distinct 64-bit hashes of the k-word shingles, about AT_ONCE bytes of text at a time."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    size = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    at = 0
+    while at < len(texts):
+        end = max(at + 1, int(np.searchsorted(size, AT_ONCE + (size[at - 1] if at else 0), side="right")))
+        h, cut = word_hashes(texts.slice(at, end - at))
+        every, at = _chained(h, k), end
+        for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+            if 0 < b - a < k:  # the whole text is one shingle, told from runs of k words by its length
+                yield _chained(h[a:b], b - a, b - a)
+                continue
+            out = every[a : max(b - k + 1, a)]
+            out.sort()
+            new = np.ones(len(out), bool)
+            np.not_equal(out[1:], out[:-1], out=new[1:])
+            yield out[new]
 
 
 def digest(shingles) -> int:
@@ -127,9 +190,8 @@ def sets(docs: DataFrame, id_col: str, text_col: str, k: int = WORDS) -> DataFra
     def run(it):
         import pyarrow as pa
 
-        cache = _Hashes()
         for batch in slices(it):
-            own = [shingle_set(t, cache, k) for t in batch.column(1).to_pylist()]
+            own = list(shingle_sets(batch.column(1), k))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in own], pa.int64()), pa.array([digest(s) if len(s) else None for s in own], pa.int64()), pa.array([sketch(s) if len(s) else None for s in own], pa.binary())], names=["id", "n", "d", "bits"])
 
     return docs.select(F.col(id_col).alias("id"), F.col(text_col)).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, n long, d long, bits binary")
@@ -143,11 +205,10 @@ def _per_set(docs: DataFrame, text_col: str, k: int, schema: str, start, each, e
         import numpy as np
         import pyarrow as pa
 
-        cache, seen, state = _Hashes(), set(), start()
+        seen, state = set(), start()
         for batch in slices(it):
             out = []
-            for t in batch.column(0).to_pylist():
-                s = shingle_set(t, cache, k)
+            for s in shingle_sets(batch.column(0), k):
                 if len(s) and (d := digest(s)) not in seen:
                     if len(seen) > 2_000_000:
                         seen.clear()

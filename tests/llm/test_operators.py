@@ -61,6 +61,41 @@ def test_jaccard_join(spark, texts, k, percent, weight, small):
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got} == want
 
 
+def test_shingle_sets_hash_every_word_once_and_not_one_by_one():
+    import sys
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(11)
+    letters = list("abcXYZ\u00e9\u4e2d\U0001f600\x00\x1e\x1f\x85\u00a0")
+    gaps = list(" \t\n\x0b\x0c\r")
+    words = ["".join(rng.choice(letters, n)) for n in range(1, 40) for _ in range(8)] + ["q" * n for n in (63, 64, 65, 66, 200)] + ["abcdefg", "abcdefg\x1e", "abcdefg\x00", "ABCDEFGH"]
+    texts = [None, "", " \n", "a", "A b", "a b c", "a\x0bB\x0cc\rd", *("".join(w + rng.choice(gaps) for w in rng.choice(words, n)) + end for n in (2, 3, 4, 5, 300) for end in ("", "end") for _ in range(6))]
+    held = pa.array(["left out", *texts, *texts], pa.string()).slice(1)
+    for at_once in (1, 50, 1 << 20):
+        jaccard_join.AT_ONCE, was = at_once, jaccard_join.AT_ONCE
+        try:
+            for kind in (pa.string(), pa.large_string()):
+                got, names = list(jaccard_join.shingle_sets(held.cast(kind), 4)), {}
+                assert len(got) == 2 * len(texts)
+                for t, s in zip([*texts, *texts], got, strict=True):
+                    w = WORD.findall("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+                    want = {tuple(w[i : i + 4]) for i in range(len(w) - 3)} if len(w) > 3 else {tuple(w)} - {()}
+                    assert len(s) == len(want) and (s[1:] > s[:-1]).all()
+                    assert names.setdefault(frozenset(want), s.tobytes()) == s.tobytes()
+                assert len(set(names.values())) == len(names)
+        finally:
+            jaccard_join.AT_ONCE = was
+    # CPU seconds: calls are counted for texts, not for words
+    calls, many = [], pa.array([" ".join(f"w{i}" for i in range(50_000))])
+    sys.setprofile(lambda frame, event, arg: calls.append(event))
+    try:
+        list(jaccard_join.shingle_sets(many, 4))
+    finally:
+        sys.setprofile(None)
+    assert len(calls) < 2_000
+
+
 def test_region_join_is_exact():
     rng = np.random.default_rng(5)
     base = [np.unique(rng.integers(0, 1 << 62, 80).astype(np.uint64)) for _ in range(4)]
