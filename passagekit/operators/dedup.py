@@ -41,8 +41,12 @@ def histogram_residual(rec: DataFrame, width: float, bins: int) -> DataFrame:
     """Adds res: the unit residual of a recording's value histogram from the mean histogram of all recordings."""
     at = lambda v: F.least(F.floor(v / width), F.lit(bins - 1))
     share = F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.size(F.filter("x", lambda v: at(v) == b)) / F.size("x"))
-    h = rec.withColumn("h", share)
-    mean = h.select(F.posexplode("h")).groupBy("pos").agg(F.avg("col").alias("m")).agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda s: s["m"]).alias("mean_h"))
+    return residual(rec.withColumn("h", share), bins)
+
+
+def residual(h: DataFrame, bins: int) -> DataFrame:
+    """Replaces the histogram h by res: its unit residual from the mean of all rows."""
+    mean = h.agg(F.array(*(F.avg(F.col("h")[b]) for b in range(bins))).alias("mean_h"))
     # one row of `bins` numbers
     return h.crossJoin(F.broadcast(mean)).withColumn("res", unit(F.zip_with("h", "mean_h", lambda a, b: a - b))).drop("h", "mean_h")
 
